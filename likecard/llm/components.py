@@ -22,8 +22,15 @@ def _scramble(x: Column) -> Column:
     return F.shiftleft(left, 32).bitwiseOR(right)
 
 
+def _unscrambled(y: Column) -> Column:
+    left, right = F.shiftrightunsigned(y, 32).bitwiseAND(F.lit(_HALF)), y.bitwiseAND(F.lit(_HALF))
+    for salt in (37, 23, 11):
+        left, right = right.bitwiseXOR(F.xxhash64(left, F.lit(salt)).bitwiseAND(F.lit(_HALF))), left
+    return F.shiftleft(left, 32).bitwiseOR(right)
+
+
 def components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
-    """(node, component) for every node that has an edge; component is the
+    """(node, component) for every node that has an edge to another; component is the
     smallest node id reachable.
 
     Each round every node points to the least (in scrambled order) of itself and
@@ -36,8 +43,7 @@ def components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFram
     a, b = _scramble(F.col(src).cast("long")), _scramble(F.col(dst).cast("long"))
     live = edges.filter(F.col(src).isNotNull() & F.col(dst).isNotNull() & (F.col(src) != F.col(dst)))
     live = cut(live.select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).distinct())
-    names = edges.select(F.explode(F.array(F.col(src).cast("long"), F.col(dst).cast("long"))).alias("node")).filter("node is not null").distinct()
-    names = names.withColumn("at", _scramble(F.col("node")))
+    names = live.select(F.explode(F.array("a", "b")).alias("at")).distinct().withColumn("node", _unscrambled(F.col("at")))
     while not live.isEmpty():
         ends = live.select(F.explode(F.array(F.struct(F.col("a").alias("x"), F.col("b").alias("y")), F.struct(F.col("b").alias("x"), F.col("a").alias("y")))).alias("e")).select("e.*")
         to = cut(ends.groupBy("x").agg(F.least(F.col("x"), F.min("y")).alias("p")))
