@@ -40,6 +40,7 @@ def cut(df: DataFrame) -> DataFrame:
     path = f"{scratch_root(spark)}/llm-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     jvm = spark.sparkContext._jvm
+    jvm.System.gc()  # lets Spark's cleaner drop the shuffle files that the written table replaces
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
