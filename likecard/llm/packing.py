@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from .common import balanced, cut
 
-SIZE, END_ID, CELL = 1024, 0, 20_000
+SIZE, END_ID, CELL = 1024, 0, 2048
 
 
 def encoder(path: str):
