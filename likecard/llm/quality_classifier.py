@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 from .hashed import Codes, token_and_form_grams
 from .toxicity import collect_sample, training_rows
 
-BITS, MAX_TRAIN, EPOCHS, SMOOTH, COST, BLEND, ACCEPT = 18, 6000, 12, 1.0, 1.0, 0.25, 0.3
+#: Labelled rows that the counts and the support vectors learn from at most.
+MAX_COUNTED, MAX_TRAIN = 20_000, 6000
+BITS, EPOCHS, SMOOTH, COST, BLEND, ACCEPT = 18, 12, 1.0, 1.0, 0.25, 0.3
 
 
 def _grams(bits: int):
@@ -17,8 +19,9 @@ def _grams(bits: int):
 
 def log_count_ratios(docs: DataFrame, labels: DataFrame, label_col: str = "quality", bits: int = BITS):
     """Per bucket the log ratio of smoothed shares between label 1 and 0, from
-    the indicators of every labelled row that may be learnt from. Counts are
-    summed on the executors; 2**bits rows at most come to the driver."""
+    the indicators of labelled rows that may be learnt from, MAX_COUNTED at
+    most. Counts are summed on the executors; 2**bits rows at most come to the
+    driver."""
     import numpy as np
 
     make = _grams(bits)
@@ -34,7 +37,7 @@ def log_count_ratios(docs: DataFrame, labels: DataFrame, label_col: str = "quali
         at = np.flatnonzero(n.sum(0))
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(n[0][at]), pa.array(n[1][at])], names=["at", "n0", "n1"])
 
-    rows = training_rows(docs, labels, label_col, None).select("text", "y").mapInArrow(run, "at long, n0 long, n1 long")
+    rows = training_rows(docs, labels, label_col, MAX_COUNTED).select("text", "y").mapInArrow(run, "at long, n0 long, n1 long")
     n = np.full((2, 1 << bits), SMOOTH)
     for r in rows.groupBy("at").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")).toLocalIterator():
         n[0][r["at"]] += r.n0
@@ -94,9 +97,9 @@ def calibrate(margins, y):
 
 
 def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", most: int = MAX_TRAIN, bits: int = BITS):
-    """(ratios, weights, slope, offset). Counts cover all labelled rows that may
-    be learnt from; the support vector machine sees MAX_TRAIN of them at most,
-    a fifth of which only sets the logistic curve. Without any label every
+    """(ratios, weights, slope, offset). The counts see MAX_COUNTED labelled rows
+    at most, the support vector machine MAX_TRAIN of them, a fifth of which only
+    sets the logistic curve. Without any label every
     score is 0.5."""
     import numpy as np
 

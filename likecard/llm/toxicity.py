@@ -38,15 +38,15 @@ def features(rows: DataFrame, make, columns: str):
     return rows.select("text", "y").mapInArrow(run, columns)
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, label_col: str, most: int | None) -> DataFrame:
+def training_rows(docs: DataFrame, labels: DataFrame, label_col: str, most: int) -> DataFrame:
     """(text, y, key) of labelled rows that may be learnt from; `most` of them at
-    most, the least by a hash of the id (the documented bound of the sample)."""
+    most, the least by a hash of the id (the documented bound of the sample, and
+    so of what is broadcast)."""
     y = labels.filter(F.col(label_col).isin(0, 1) & F.col("doc_id").isNotNull() & ~is_held_out(F.col("doc_id")))
     y = y.groupBy("doc_id").agg(F.max(label_col).cast("int").alias("y"))
     key = F.xxhash64(F.col("doc_id").cast("long"), F.lit(5))
-    if most:
-        y = y.orderBy(key, "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(y, "doc_id").select("text", "y", key.alias("key"))
+    y = y.orderBy(key, "doc_id").limit(most)
+    return docs.select("doc_id", "text").join(F.broadcast(y), "doc_id").select("text", "y", key.alias("key"))
 
 
 def collect_sample(docs: DataFrame, labels: DataFrame, label_col: str, most: int, make) -> list:
