@@ -55,7 +55,7 @@ class TierScheme:
         return "case " + " ".join(f"when {n} <= {hi} then {i}" for i, (_, hi) in enumerate(self.edges, 1)) + f" else {self.n} end"
 
     def rep_sql(self, tier: str) -> str:
-        return f"list_extract([{', '.join(repr(self.value(i)) for i in range(1, self.n + 1))}], {tier})"
+        return f"list_extract([{', '.join(repr(self.value(i)) for i in range(1, self.n + 1))}]::double[], {tier})"
 
 
 def build(bound: str | float, max_n: int, rep: str = "geomean") -> TierScheme:

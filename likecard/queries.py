@@ -344,7 +344,7 @@ def _long_est_sql(kind: str, clamp: bool) -> str:
     key = "reverse(lit)" if kind == "S" else "lit"
     turn = (lambda x: f"reverse({x})") if kind == "S" else (lambda x: x)
     ratio = "ew / ec" if not clamp else "least(1, ew / ec)"
-    body = "h.est * r" if not clamp else f"greatest({FULL.value(1)!r}, least(h.est * r, l))"
+    body = "h.est * r" if not clamp else f"greatest({FULL.value(1)!r}::double, least(h.est * r, l))"
     return (
         f"with c as materialized (select key, {FULL.rep_sql('tier')} as est from ({sql_tiered('C', LONG_SET)})), h as materialized (select key, {FULL.rep_sql('tier')} as est from ({sql_tiered(kind, LONG_SET)})), "
         f"p as materialized (select pid, lit, {key} as key from ({_long_sql(kind)})), w as (select pid, {turn('substr(key, i, 10)')} as win, {turn('substr(key, i, 9)')} as ctx from (select pid, key, unnest(range(2, length(key) - 8)) as i from p)), "
