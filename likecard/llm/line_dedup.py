@@ -7,7 +7,7 @@ import random
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, let, words
+from .common import cut
 from .components import components
 
 #: Characters of a shingle, least Jaccard similarity, and banding: lines at 0.8
@@ -16,21 +16,15 @@ CHARS, THRESHOLD, BANDS, ROWS = 12, 0.8, 9, 4
 
 
 def shingles(line: Column, chars: int = CHARS) -> Column:
-    """Hashes of a line's character shingles, repeats included: the windows of
-    `chars` characters (white space as one space) that begin at its words, the
-    last `chars` characters of longer words, and every window inside words of
-    over twice that length, so scripts without spaces are shingled throughout.
-    Windows end with the line."""
-    ahead = chars // 2 + 1
-
-    def of(w: Column) -> Column:
-        heads = F.transform(w, lambda x, i: F.xxhash64(F.substring(F.array_join(F.slice(w, i + 1, ahead), " "), 1, chars)))
-        long = F.filter(w, lambda x: F.length(x) > chars)
-        tails = F.transform(long, lambda x: F.xxhash64(F.right(x, F.lit(chars))))
-        inner = F.transform(F.filter(w, lambda x: F.length(x) > 2 * chars), lambda x: F.transform(F.sequence(F.lit(2), F.length(x) - chars), lambda j: F.xxhash64(x.substr(j, F.lit(chars)))))
-        return F.when(F.exists(w, lambda x: F.length(x) > chars), F.concat(heads, tails, F.flatten(inner))).otherwise(heads)
-
-    return let(words(line), of)
+    """A line's character shingles, repeats included: windows of `chars`
+    characters, shorter at the end of the line, that begin at each word and in
+    it after every `chars` characters, so that they cover the line. Lines with
+    a word of over twice that length (scripts without spaces, links) have one
+    at every visible character."""
+    solid, window = r"[^\x20\x09-\x0D]", rf"(?s)(?=(.{{1,{chars}}}))"
+    each = F.regexp_extract_all(line, F.lit(f"{window}{solid}"), F.lit(1))
+    heads = F.regexp_extract_all(line, F.lit(f"{window}{solid}{{1,{chars}}}"), F.lit(1))
+    return F.when(line.rlike(f"{solid}{{{2 * chars + 1}}}"), each).otherwise(heads)
 
 
 def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -40,15 +34,17 @@ def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """(h, bands): one row per different line. Minima are taken over exploded
-    shingles with partial sums, so equal lines merge before the shuffle."""
+    """(h, n, bands): one row per different line, with its number of places.
+    Minima are taken over exploded shingles with partial sums, so equal lines
+    merge before the shuffle."""
     rng = random.Random(41)
     masks = [rng.getrandbits(32) - (1 << 31) for _ in range(bands * width)]
-    flat = rows.select("h", F.explode(shingles(F.col("line"), chars)).alias("s"))
-    flat = flat.select("h", F.shiftright("s", 32).cast("int").alias("s"))
-    minima = flat.groupBy("h").agg(*[F.min(F.col("s").bitwiseXOR(F.lit(m).cast("int"))).alias(f"m{i}") for i, m in enumerate(masks)])
+    flat = rows.select("h", F.posexplode(shingles(F.col("line"), chars)).alias("at", "s"))
+    flat = flat.select("h", F.when(F.col("at") == 0, 1).otherwise(0).alias("one"), F.shiftright(F.xxhash64("s"), 32).cast("int").alias("s"))
+    minima = [F.min(F.col("s").bitwiseXOR(F.lit(m).cast("int"))).alias(f"m{i}") for i, m in enumerate(masks)]
+    flat = flat.groupBy("h").agg(F.sum("one").alias("n"), *minima)
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * width + i}") for i in range(width)]) for b in range(bands)]
-    return minima.select("h", F.array(*keys).alias("bands"))
+    return flat.select("h", "n", F.array(*keys).alias("bands"))
 
 
 def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
@@ -63,31 +59,32 @@ def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> DataFrame:
     """(h, class): the class of each different line that is linked to another.
 
-    Lines that share a band are candidates. In a band all meet its least and its
-    greatest member; those that neither linked meet everything in the band that
-    is not in their class yet, so large bands of alike lines cost what they
-    hold, and no link across classes is lost. Links are verified on the full
-    shingle sets.
+    Lines that share a band are candidates. In a band all meet its most frequent
+    line and its least one; those that neither linked, directly or through
+    others, meet everything in the band that is not in their class yet. So large
+    bands of alike lines cost what they hold, and no link across classes is
+    lost. Links are verified on the full shingle sets.
     """
     sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
-    flat = sig.select("h", F.explode("bands").alias("band"))
-    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("n")).filter("low < high")
+    flat = sig.select("h", "n", F.explode("bands").alias("band"))
+    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k")).filter("low < high")
     ends = cut(ends)
-    members = cut(flat.join(ends.filter("n > 2"), "band").select("band", "h", "low", "high"))
-    stars = members.select("h", F.explode(F.array("low", "high")).alias("o")).filter("h != o")
-    pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.select(F.col("low").alias("a"), F.col("high").alias("b")))
+    members = cut(flat.join(ends.filter("k > 2"), "band").select("band", "h", "n", "low"))
+    most = cut(members.groupBy("band").agg(F.max(F.struct("n", "h")).alias("m")).select("band", F.col("m.h").alias("top")))
+    members = cut(members.join(most, "band").select("band", "h", "low", "top"))
+    stars = members.select("h", F.explode(F.array("low", "top")).alias("o")).filter("h != o")
+    pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.filter("k = 2").select(F.col("low").alias("a"), F.col("high").alias("b")))
     pairs = cut(pairs.distinct())
-    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("h")).unionByName(members.select("h")).distinct())
-    sets = lines(docs, id_col, text_col).select("h", "line").join(wanted, "h", "left_semi")
-    sets = sets.groupBy("h").agg(F.min("line").alias("line")).select("h", F.array_distinct(shingles(F.col("line"), chars)).alias("set"))
-    sets = cut(sets)
+    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
+    sets = lines(docs, id_col, text_col).select("h", "line").join(wanted, "h", "left_semi").dropDuplicates(["h"])
+    sets = cut(sets.select("h", F.array_distinct(F.transform(shingles(F.col("line"), chars), lambda x: F.xxhash64(x))).alias("set")))
     links = cut(similar(pairs, sets, threshold))
     found = components(links, "a", "b")
     of = found.select(F.col("node").alias("h"), "component")
     named = members.join(of, "h", "left").withColumn("c", F.coalesce("component", "h")).drop("component")
-    for end in ("low", "high"):
+    for end in ("low", "top"):
         named = named.join(of.select(F.col("h").alias(end), F.col("component").alias(f"{end}_c")), end, "left").withColumn(f"{end}_c", F.coalesce(f"{end}_c", end))
-    named = cut(named.select("band", "h", "c", ((F.col("c") != F.col("low_c")) & (F.col("c") != F.col("high_c"))).alias("apart")))
+    named = cut(named.select("band", "h", "c", ((F.col("c") != F.col("low_c")) & (F.col("c") != F.col("top_c"))).alias("apart")))
     left = named.filter("apart").select("band", F.col("h").alias("a"), F.col("c").alias("ca"))
     if not left.isEmpty():
         more = left.join(named.select("band", F.col("h").alias("b"), "c"), "band").filter("ca != c")
@@ -98,24 +95,28 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     return found.select(F.col("node").alias("h"), F.col("component").alias("class"))
 
 
-def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """(id, pos) of the lines to remove: all of a class but its first occurrence
-    by id, then place; equal lines are one class."""
+def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> tuple[DataFrame, DataFrame]:
+    """((id, pos) of the lines to remove, (id, pos) of all lines). Of each class
+    its first occurrence by id, then place, stays; equal lines are one class."""
+    every = cut(lines(docs, id_col, text_col).select("id", "pos", "h").filter("id is not null"))
     named = cut(classes(docs, id_col, text_col, chars, threshold, bands, width))
-    rows = lines(docs, id_col, text_col).select("id", "pos", "h").filter("id is not null")
-    rows = cut(rows.join(named, "h", "left").select("id", "pos", F.coalesce("class", "h").alias("class")))
-    first = rows.groupBy("class").agg(F.min(F.struct("id", "pos")).alias("first"), F.count("*").alias("n")).filter("n > 1")
+    rows = cut(every.join(named, "h", "left").select("id", "pos", F.coalesce("class", "h").alias("class")))
+    place = F.struct("id", "pos")
+    first = rows.groupBy("class").agg(F.min(place).alias("first"), F.count("*").alias("n")).filter("n > 1")
     first = cut(first.select("class", F.col("first.id").alias("first_id"), F.col("first.pos").alias("first_pos")))
-    return rows.join(first, "class").filter("id != first_id or pos != first_pos").select("id", "pos")
+    gone = rows.join(first, "class").filter("id != first_id or pos != first_pos").select("id", "pos")
+    return gone, every
 
 
 def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """One row per id of docs: doc_id, n_lines (with a visible character),
     n_removed, and removed, the sorted numbers (from 0) of the lines that go."""
-    gone = removed_lines(docs, id_col, text_col, **options).groupBy("id").agg(F.sort_array(F.collect_list("pos")).alias("removed"))
-    own = docs.select(F.col(id_col).cast("long").alias("id"), F.size(F.filter(F.coalesce(F.split(F.col(text_col).cast("string"), "\n", -1), F.array().cast("array<string>")), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))).cast("long").alias("n_lines"))
-    out = own.join(gone, "id", "left").withColumn("removed", F.coalesce("removed", F.array().cast("array<int>")))
-    return out.select(F.col("id").alias("doc_id"), "n_lines", F.size("removed").cast("long").alias("n_removed"), "removed")
+    gone, every = removed_lines(docs, id_col, text_col, **options)
+    gone = gone.groupBy("id").agg(F.sort_array(F.collect_list("pos")).alias("removed"))
+    count = every.groupBy("id").agg(F.count("*").alias("n"))
+    own = docs.select(F.col(id_col).cast("long").alias("id"))
+    out = own.join(count, "id", "left").join(gone, "id", "left").withColumn("removed", F.coalesce("removed", F.array().cast("array<int>")))
+    return out.select(F.col("id").alias("doc_id"), F.coalesce("n", F.lit(0)).alias("n_lines"), F.size("removed").cast("long").alias("n_removed"), "removed")
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
@@ -126,7 +127,8 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **opt
     empty. Rows with a null id are left as they are; ids are expected to be
     unique, and rows that share one lose the same line numbers.
     """
-    gone = removed_lines(docs, id_col, text_col, **options).groupBy("id").agg(F.collect_set("pos").alias("_gone")).withColumnRenamed("id", "_id")
+    gone, _ = removed_lines(docs, id_col, text_col, **options)
+    gone = gone.groupBy("id").agg(F.collect_set("pos").alias("_gone")).withColumnRenamed("id", "_id")
     kept = F.array_join(F.filter(F.split(F.col(text_col), "\n", -1), lambda x, i: ~F.array_contains("_gone", i)), "\n")
     out = docs.join(gone, F.col(id_col).cast("long") == F.col("_id"), "left")
     return out.withColumn(text_col, F.when(F.col("_gone").isNull(), F.col(text_col)).otherwise(kept)).select(docs.columns)
