@@ -62,7 +62,7 @@ def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
 def patterns(histogram: dict[int, int], size: int = SIZE) -> list[tuple[tuple[int, ...], int]]:
     """(lengths in a pack, number of packs): lengths are placed longest first,
     each on the shortest packs that still have room, as many packs at a time
-    as there are; what is over opens packs of its own."""
+    as there are; what is over opens packs of its own, as many to a pack as fit."""
     open_packs: dict[int, list] = {}
     full = []
 
@@ -77,7 +77,11 @@ def patterns(histogram: dict[int, int], size: int = SIZE) -> list[tuple[tuple[in
         while left:
             fill = min((f for f in open_packs if f + length <= size), default=None)
             if fill is None:
-                put((length,), length, left)
+                held = size // length
+                if left >= held:
+                    put((length,) * held, length * held, left // held)
+                if left % held:
+                    put((length,) * (left % held), length * (left % held), 1)
                 break
             pattern, count = open_packs[fill].pop()
             if not open_packs[fill]:
