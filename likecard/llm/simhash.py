@@ -13,8 +13,27 @@ from .components import components, forest
 SHINGLE, MAX_BITS, PIVOTS, BUCKET_TILE = 4, 4, 24, 4096
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """(id, fp long) for every row: bit i is set where over half of the XXH64
+#: Bytes of a sketch: one min-hash each.
+MINIMA = 16
+
+
+def _sketch(h) -> bytes:
+    """A byte of each of MINIMA minima of the shingle hashes under odd multipliers."""
+    import numpy as np
+
+    odd = np.random.default_rng(77).integers(0, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    low = np.full(MINIMA, 2**64 - 1, np.uint64)
+    for at in range(0, len(h), 8192):
+        x = h[at : at + 8192]
+        x = (x ^ (x >> np.uint64(31)))[:, None] * odd
+        low = np.minimum(low, (x ^ (x >> np.uint64(32))).min(0))
+    low = low * odd
+    return ((low ^ (low >> np.uint64(29))) >> np.uint64(7)).astype(np.uint8).tobytes()
+
+
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, sketch: bool = False) -> DataFrame:
+    """(id, fp long, s0 long, s1 long) for every row; s0 and s1 hold a min-hash
+    sketch of the shingles if asked for, else 0. fp: bit i is set where over half of the XXH64
     values (seed 42) of the word shingles, repeats included, have it set.
 
     A-Z are lower-cased; words are split at ASCII white space; fewer words than
@@ -28,11 +47,12 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
         digest = xxhash.xxh64_intdigest
         for batch in batches:
-            ids, out = batch.column(0), []
+            ids, out, sketches = batch.column(0), [], []
             for text in batch.column(1):
                 found = (text.as_py() or "").encode().lower().split()
                 if not found:
                     out.append(0)
+                    sketches.append(bytes(MINIMA))
                     continue
                 line, n = b" ".join(found), len(found)
                 lengths = np.fromiter(map(len, found), np.int64, n)
@@ -44,9 +64,11 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 for at in range(0, len(h), 8192):
                     ones += np.unpackbits(h[at : at + 8192].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
                 out.append(int.from_bytes(np.packbits(2 * ones > len(h), bitorder="little").tobytes(), "little", signed=True))
-            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(out, pa.int64())], names=["id", "fp"])
+                sketches.append(_sketch(h) if sketch else bytes(MINIMA))
+            pair = np.frombuffer(b"".join(sketches), "<i8").reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(out, pa.int64()), pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["id", "fp", "s0", "s1"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long, s0 long, s1 long")
 
 
 def _blocks(count: int) -> list[tuple[int, int]]:
@@ -63,12 +85,12 @@ def pivot_table(fps, pivots: int):
     return np.bitwise_count(fps[None, :] ^ refs[:, None]).astype(np.int8)
 
 
-def _close_pairs(groups, fps, max_bits: int, pivots: int):
+def _close_pairs(groups, fps, sketches, max_bits: int, pivots: int, agree: int):
     """Index pairs (i, j) in arrays sorted by group: same group and at most
     max_bits differing bits. Pairs are met lag by lag, whole arrays at a time;
     pivot after pivot discards those whose table entries differ by more than
-    max_bits (the triangle inequality makes that safe), and an exclusive-or
-    verifies the rest."""
+    max_bits (the triangle inequality makes that safe), an exclusive-or verifies
+    the rest, and so do `agree` equal bytes of the sketches, if over 0."""
     import numpy as np
 
     far = pivot_table(fps, pivots)
@@ -84,6 +106,8 @@ def _close_pairs(groups, fps, max_bits: int, pivots: int):
             if not len(near):
                 break
         near = near[np.bitwise_count(fps[near] ^ fps[near + lag]) <= max_bits]
+        if agree and len(near):
+            near = near[(sketches[near] == sketches[near + lag]).sum(1) >= agree]
         left.append(near)
         right.append(near + lag)
         lag += 1
@@ -91,9 +115,10 @@ def _close_pairs(groups, fps, max_bits: int, pivots: int):
     return (np.concatenate(left), np.concatenate(right)) if left else (none, none)
 
 
-def links(unique: DataFrame, max_bits: int = MAX_BITS, pivots: int = PIVOTS, tile: int = BUCKET_TILE) -> DataFrame:
+def links(unique: DataFrame, max_bits: int = MAX_BITS, pivots: int = PIVOTS, tile: int = BUCKET_TILE, agree: int = 0) -> DataFrame:
     """(src, dst): links that connect exactly what fingerprints at most max_bits
-    apart connect. unique: (node long, fp long), each fp once.
+    apart, with `agree` equal bytes of their sketches, connect. unique: (node,
+    fp, s0, s1), all long, each combination of the last three once.
 
     The 64 bits are cut into max_bits + 2 blocks; of a linked pair at least two
     blocks are equal, so the pair meets in the bucket of those two. Buckets over
@@ -104,13 +129,13 @@ def links(unique: DataFrame, max_bits: int = MAX_BITS, pivots: int = PIVOTS, til
     blocks = _blocks(max_bits + 2)
     part = lambda at, width: F.shiftrightunsigned("fp", at).bitwiseAND(F.lit((1 << width) - 1))
     keys = [F.xxhash64(part(*x), part(*y), F.lit(i)) for i, (x, y) in enumerate(combinations(blocks, 2))]
-    rows = unique.select("node", "fp", F.explode(F.array(*keys)).alias("bucket"))
+    rows = unique.select("node", "fp", "s0", "s1", F.explode(F.array(*keys)).alias("bucket"))
     hot = cut(rows.groupBy("bucket").count().filter(F.col("count") > tile).select("bucket", F.ceil(F.col("count") / tile).cast("int").alias("tiles")))
     if not hot.isEmpty():
-        rows = rows.join(hot, "bucket", "left").withColumn("own", F.pmod(F.xxhash64("fp", F.lit(7)), F.col("tiles")).cast("int"))
+        rows = rows.join(hot, "bucket", "left").withColumn("own", F.pmod(F.xxhash64("fp", "s0", F.lit(7)), F.col("tiles")).cast("int"))
         rows = rows.withColumn("other", F.explode(F.when(F.col("tiles").isNull(), F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("tiles") - 1))))
         low, high = F.least("own", "other"), F.greatest("own", "other")
-        rows = rows.select("node", "fp", F.when(F.col("tiles").isNull(), F.col("bucket")).otherwise(F.xxhash64("bucket", low, high)).alias("bucket"))
+        rows = rows.select("node", "fp", "s0", "s1", F.when(F.col("tiles").isNull(), F.col("bucket")).otherwise(F.xxhash64("bucket", low, high)).alias("bucket"))
 
     def run(batches):
         import numpy as np
@@ -119,13 +144,14 @@ def links(unique: DataFrame, max_bits: int = MAX_BITS, pivots: int = PIVOTS, til
         rest = None
 
         def found(columns):
-            group, node, fps = columns
-            i, j = _close_pairs(group, fps.view(np.uint64), max_bits, pivots)
+            group, node, fps, s0, s1 = columns
+            sketches = np.column_stack([s0, s1]).view(np.uint8) if agree else None
+            i, j = _close_pairs(group, fps.view(np.uint64), sketches, max_bits, pivots, agree)
             src, dst = forest(node[i], node[j])
             return pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64())], names=["src", "dst"])
 
         for batch in batches:
-            new = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
+            new = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(5)]
             rest = new if rest is None else [np.concatenate(x) for x in zip(rest, new)]
             edge = int(np.searchsorted(rest[0], rest[0][-1])) if len(rest[0]) else 0
             if edge > 60_000:
@@ -134,29 +160,35 @@ def links(unique: DataFrame, max_bits: int = MAX_BITS, pivots: int = PIVOTS, til
         if rest is not None and len(rest[0]) > 1:
             yield found(rest)
 
-    rows = rows.select("bucket", "node", "fp").repartition(int(unique.sparkSession.conf.get("spark.sql.shuffle.partitions")), "bucket")
+    rows = rows.select("bucket", "node", "fp", "s0", "s1").repartition(int(unique.sparkSession.conf.get("spark.sql.shuffle.partitions")), "bucket")
     return rows.sortWithinPartitions("bucket").mapInArrow(run, "src long, dst long")
 
 
-def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS) -> DataFrame:
+def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS, similarity: float | None = None) -> DataFrame:
     """(id, fp, component) for every row of docs with an id; component is the
     smallest id linked, directly or through others, by fingerprints at most
     max_bits apart.
 
-    Equal fingerprints count once in the search. Rows with a null id come back
-    with a null component; repeated ids keep one row each; no rows give none.
+    similarity also asks of a link that the Jaccard similarity of the shingle
+    sets, estimated from 16 minima, is not clearly below it (a quarter is
+    allowed for chance); that makes room for larger max_bits. Equal rows count
+    once in the search. Rows with a null id come back with a null component;
+    repeated ids keep one row each; no rows give none.
     """
-    prints = cut(fingerprints(docs, id_col, text_col, shingle))
-    unique = cut(prints.filter("id is not null").groupBy("fp").agg(F.min("id").alias("node")))
-    linked = components(links(unique, max_bits))
-    named = cut(unique.join(linked, "node", "left").select("fp", F.coalesce("component", "node").alias("component")))
-    out = prints.join(named, "fp", "left")
+    from math import ceil
+
+    key, agree = ["fp", "s0", "s1"], 0 if similarity is None else ceil(MINIMA * (similarity - 0.25))
+    prints = cut(fingerprints(docs, id_col, text_col, shingle, similarity is not None))
+    unique = cut(prints.filter("id is not null").groupBy(*key).agg(F.min("id").alias("node")))
+    linked = components(links(unique, max_bits, agree=agree))
+    named = cut(unique.join(linked, "node", "left").select(*key, F.coalesce("component", "node").alias("component")))
+    out = prints.join(named, key, "left")
     return out.select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component"))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS) -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS, similarity: float | None = None) -> DataFrame:
     """The rows of docs, all columns, whose id is the smallest of its group; of
     rows repeating that id, one. Rows with a null id stay."""
-    kept = groups(docs, id_col, text_col, shingle, max_bits).filter("id = component").select(F.col("id").alias("_id")).distinct()
+    kept = groups(docs, id_col, text_col, shingle, max_bits, similarity).filter("id = component").select(F.col("id").alias("_id")).distinct()
     once = docs.filter(F.col(id_col).isNotNull()).join(kept, F.col(id_col) == F.col("_id"), "left_semi")
     return once.dropDuplicates([id_col]).unionByName(docs.filter(F.col(id_col).isNull()))

@@ -119,7 +119,7 @@ def test_links_connect_what_brute_force_connects(spark, tile):
             fps.add(int(s) ^ sum(1 << int(b) for b in rng.choice(64, rng.integers(1, 8), replace=False)))
     fps = sorted(fps)
     signed = [x - 2**64 if x >= 2**63 else x for x in fps]
-    df = spark.createDataFrame(list(enumerate(signed)), "node long, fp long")
+    df = spark.createDataFrame([(i, x, 0, 0) for i, x in enumerate(signed)], "node long, fp long, s0 long, s1 long")
     got = [(r.src, r.dst) for r in simhash.links(df, tile=tile).collect()]
     want = [(i, j) for i in range(len(fps)) for j in range(i) if (fps[i] ^ fps[j]).bit_count() <= 4]
     assert len(want) > 100 and classes(range(len(fps)), got) == classes(range(len(fps)), want)
@@ -137,6 +137,21 @@ def test_groups_and_keep_one(spark, docs):
     assert simhash.groups(docs([])).count() == 0
 
 
+def test_similarity_of_linked_documents(spark, docs):
+    """Copies with a word in 200 changed are grouped, unrelated texts are not."""
+    rng = random.Random(7)
+    rows, copies = [], []
+    for i in range(40):
+        w = sentence(rng, 200).split()
+        rows.append((i, " ".join(w)))
+        w[rng.randrange(200)] = "changed"
+        copies.append((100 + i, " ".join(w)))
+    got = {r.id: r.component for r in simhash.groups(docs(rows + copies), shingle=5, max_bits=8, similarity=0.8).collect()}
+    assert all(got[i] == i for i in range(40)) and sum(got[100 + i] == i for i in range(40)) >= 34
+    a, b = (np.frombuffer(simhash._sketch(np.array(x, np.uint64) * np.uint64(0x9E3779B97F4A7C15)), np.uint8) for x in (range(1, 901), range(101, 1001)))
+    assert 9 <= (a == b).sum() <= 16
+
+
 # lines
 
 
