@@ -85,4 +85,15 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """SQL where it can say the same; the other queries are tested against brute force."""
+    bad = "list_sum(list_transform(e, lambda x: case when x is null or not isfinite(x) then 1 else 0 end)) = 0"
+    some = "list_sum(list_transform(e, lambda x: case when x <> 0 then 1 else 0 end)) > 0"
+    near = f"list_cosine_similarity(a.e, b.e) >= {embedding_dedup.THRESHOLD}"
+    return {
+        "op1_embedding_dedup": f"""
+            with recursive v as materialized (select vec_id, label, e from (select vec_id, label, embedding::double[] as e from embeddings) where label is not null and e is not null and {bad} and {some}),
+            links as materialized (select a.vec_id as a, b.vec_id as b from v a join v b on a.label = b.label and a.vec_id <> b.vec_id and len(a.e) = len(b.e) where {near}),
+            reach as (select vec_id, vec_id as c from embeddings union select l.a, r.c from reach r join links l on l.b = r.vec_id),
+            named as (select vec_id, min(c) as component_id from reach group by vec_id)
+            select n.vec_id, (select count(*) from links l where l.a = n.vec_id) as n_links, n.component_id, n.vec_id = n.component_id as kept from named n""",
+    }
