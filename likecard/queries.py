@@ -746,13 +746,19 @@ COLUMNS = {("customer", "c_name"): "customer_names", ("part", "p_name"): "part_n
 
 
 @remembered
-def _local(spark, d) -> dict:
-    config = EstimatorConfig(plan=TierPlan.uniform(3, 0.05), tree=False)
-    return {c: LocalModel(estimator(spark, d, name, config)) for c, name in COLUMNS.items()}
+def _local(spark, d, column: tuple[str, str], kinds: tuple[str, ...]) -> LocalModel:
+    config = EstimatorConfig(kinds=kinds, plan=TierPlan.uniform(3, 0.05), tree=False)
+    return LocalModel(estimator(spark, d, COLUMNS[column], config))
 
 
 def _hint(spark, d, spec, limit: float = 64_000.0) -> str:
-    sides = [planner.Side(t, planner.estimated_rows(_local(spark, d), t, c, p, 1 << 40), 32.0) for t, c, p in spec[2] if (t, c) in COLUMNS]
+    """The advised hint of a join: a model of just the kinds its patterns have."""
+    sides = []
+    for t, c, p in spec[2]:
+        kind, lit = patterns.parse_like_py(p)
+        if (t, c) in COLUMNS and kind != "O":
+            kinds = (kind,) if len(lit) <= MAX_LEN or kind == "C" else (kind, "C")
+            sides.append(planner.Side(t, planner.estimated_rows({(t, c): _local(spark, d, (t, c), kinds)}, t, c, p, 1 << 40), 32.0))
     return planner.advise([*sides, planner.Side("rest", float(1 << 50), 100.0)], limit)[1].replace(", rest", "") if sides else ""
 
 
