@@ -56,19 +56,28 @@ def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     return both.filter(close).select("a", "b")
 
 
+def shared_shingles(sets: DataFrame) -> DataFrame:
+    """(h, n, shared): the shingles of a line, and how many of them any other
+    line of sets has: no two lines can have more than that in common."""
+    flat = sets.select("h", F.size("set").alias("n"), F.explode("set").alias("s"))
+    often = flat.groupBy("s").agg(F.count("*").alias("k")).filter("k > 1").select("s", F.lit(1).alias("one"))
+    return flat.join(often, "s", "left").groupBy("h", "n").agg(F.count("one").alias("shared"))
+
+
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> DataFrame:
     """(h, class): the class of each different line that is linked to another.
 
     Lines that share a band are candidates. In a band all meet its most frequent
     line and its least one; those that neither linked, directly or through
-    others, meet everything in the band that is not in their class yet. So large
-    bands of alike lines cost what they hold, and no link across classes is
-    lost. Links are verified on the full shingle sets.
+    others, meet what is not in their class yet and shares enough shingles with
+    any line at all to reach the threshold. So large bands of alike lines cost
+    what they hold, and no link across classes is lost. Bands with the same
+    lines count once; links are verified on the full shingle sets.
     """
     sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
     flat = sig.select("h", "n", F.explode("bands").alias("band"))
-    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k")).filter("low < high")
-    ends = cut(ends)
+    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high")
+    ends = cut(ends.groupBy("low", "high", "k", "mix").agg(F.min("band").alias("band")))
     members = cut(flat.join(ends.filter("k > 2"), "band").select("band", "h", "n", "low"))
     most = cut(members.groupBy("band").agg(F.max(F.struct("n", "h")).alias("m")).select("band", F.col("m.h").alias("top")))
     members = cut(members.join(most, "band").select("band", "h", "low", "top"))
@@ -85,9 +94,14 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     for end in ("low", "top"):
         named = named.join(of.select(F.col("h").alias(end), F.col("component").alias(f"{end}_c")), end, "left").withColumn(f"{end}_c", F.coalesce(f"{end}_c", end))
     named = cut(named.select("band", "h", "c", ((F.col("c") != F.col("low_c")) & (F.col("c") != F.col("top_c"))).alias("apart")))
-    left = named.filter("apart").select("band", F.col("h").alias("a"), F.col("c").alias("ca"))
+    left = cut(named.filter("apart").select("band", "h", "c"))
     if not left.isEmpty():
-        more = left.join(named.select("band", F.col("h").alias("b"), "c"), "band").filter("ca != c")
+        rest = named.select("band", "h", "c").join(left.select("band").distinct(), "band", "left_semi")
+        room = shared_shingles(sets.join(rest.select("h").distinct(), "h", "left_semi"))
+        a = left.join(room, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("shared").alias("wa"))
+        b = rest.join(room, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("shared").alias("wb"))
+        enough = F.least("wa", "wb") * (1 + threshold) >= threshold * (F.col("na") + F.col("nb"))
+        more = a.join(b, (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & enough)
         more = cut(more.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"))
         extra = cut(similar(more, sets, threshold))
         if not extra.isEmpty():
