@@ -47,13 +47,18 @@ def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: i
     return flat.select("h", "n", F.array(*keys).alias("bands"))
 
 
+def alike(sa: Column, sb: Column, threshold: float) -> Column:
+    """Whether two shingle sets have at least that Jaccard similarity; sizes that
+    rule it out are told first."""
+    low, high = F.least(F.size(sa), F.size(sb)), F.greatest(F.size(sa), F.size(sb))
+    common = F.size(F.array_intersect(sa, sb))
+    return F.when(low < threshold * high, False).otherwise(common >= threshold * (low + high - common))
+
+
 def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     """The pairs (a, b) whose shingle sets have at least that Jaccard similarity."""
     both = pairs.join(sets.select(F.col("h").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("h").alias("b"), F.col("set").alias("sb")), "b")
-    low, high = F.least(F.size("sa"), F.size("sb")), F.greatest(F.size("sa"), F.size("sb"))
-    common = F.size(F.array_intersect("sa", "sb"))
-    close = F.when(low < threshold * high, False).otherwise(common >= threshold * (low + high - common))
-    return both.filter(close).select("a", "b")
+    return both.filter(alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b")
 
 
 def shared_shingles(sets: DataFrame) -> DataFrame:
@@ -97,13 +102,13 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     left = cut(named.filter("apart").select("band", "h", "c"))
     if not left.isEmpty():
         rest = named.select("band", "h", "c").join(left.select("band").distinct(), "band", "left_semi")
-        room = shared_shingles(sets.join(rest.select("h").distinct(), "h", "left_semi"))
-        a = left.join(room, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("shared").alias("wa"))
-        b = rest.join(room, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("shared").alias("wb"))
+        near = sets.join(rest.select("h").distinct(), "h", "left_semi")
+        near = cut(near.join(shared_shingles(near), "h").select("h", "set", "n", "shared"))
+        a = left.join(near, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("shared").alias("wa"), F.col("set").alias("sa"))
+        b = rest.join(near, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("shared").alias("wb"), F.col("set").alias("sb"))
         enough = F.least("wa", "wb") * (1 + threshold) >= threshold * (F.col("na") + F.col("nb"))
-        more = a.join(b, (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & enough)
-        more = cut(more.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"))
-        extra = cut(similar(more, sets, threshold))
+        linked = (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & enough & alike(F.col("sa"), F.col("sb"), threshold)
+        extra = cut(a.join(b, linked).select("a", "b"))
         if not extra.isEmpty():
             found = components(links.unionByName(extra), "a", "b")
     return found.select(F.col("node").alias("h"), F.col("component").alias("class"))
