@@ -10,8 +10,9 @@ from .common import is_held_out
 from .hashed import Codes, word_and_skip_grams
 
 BITS, MAX_TRAIN, EPOCHS = 20, 10_000, 6
-#: Chosen on labelled rows that are not held out.
-ALPHA, BETA, L1, L2, LENGTH, BIAS = 3.0, 1.0, 2.5, 0.01, 10.0, 0.3
+#: The least log loss of twenty settings on a quarter of sf0.1's learnable labelled
+#: rows, trained on the other three; held-out rows took no part in this choice.
+ALPHA, BETA, L1, L2, LENGTH, BIAS = 3.0, 1.0, 5.0, 0.01, 10.0, 0.3
 
 
 def weighted(buckets):
