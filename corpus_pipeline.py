@@ -26,9 +26,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of linked fingerprints stays: of five-word
-    shingles, at most 8 bits apart, with a similarity of 0.8 or more as their
-    sketches show it."""
+    """One document of each group of linked ones stays: their sets of five-word
+    shingles have a Jaccard similarity of 0.8 or more."""
     return simhash.keep_one(docs, shingle=5, max_bits=8, similarity=0.8)
 
 

@@ -152,6 +152,43 @@ def test_similarity_of_linked_documents(spark, docs):
     assert 9 <= (a == b).sum() <= 16
 
 
+def test_similarity_is_that_of_the_shingle_sets(spark, docs):
+    """Copies from 0.6 to 0.98: those at 0.8 or more are grouped, the others are not."""
+    rng = random.Random(11)
+    rows, want = [], {}
+    for i in range(120):
+        w = sentence(rng, 200).split()
+        grams = lambda w: {tuple(w[k : k + 5]) for k in range(len(w) - 4)}
+        rows.append((i, " ".join(w)))
+        x, near = list(w), grams(w)
+        for k in rng.sample(range(0, 200, 6), 1 + i % 10):
+            x[k] = "changed"
+        rows.append((1000 + i, " ".join(x)))
+        want[1000 + i] = len(near & grams(x)) >= 0.8 * len(near | grams(x))
+    got = {r.id: r.component for r in simhash.groups(docs(rows), shingle=5, max_bits=8, similarity=0.8).collect()}
+    assert 30 < sum(want.values()) < 90
+    assert {i: got[i] == i - 1000 for i in want} == want and all(got[i] == i for i in range(120))
+
+
+def test_alike_connects_what_brute_force_connects():
+    rng = np.random.default_rng(12)
+    sets = [np.unique(rng.integers(0, 11, 12).astype(np.uint64)) for _ in range(60)]
+    near = [(i, j) for i in range(60) for j in range(i) if 5 * len(np.intersect1d(sets[i], sets[j])) >= 4 * len(np.union1d(sets[i], sets[j]))]
+    got = simhash._alike(sets, 0.8)
+    assert len(near) > 10 and set((j, i) for i, j in got) <= set(near) and classes(range(60), got) == classes(range(60), near)
+
+
+@pytest.mark.parametrize("tile", [8, 1024])
+def test_verified_tiles(spark, tile):
+    rng = np.random.default_rng(13)
+    sets = [np.unique(rng.integers(0, 12, 12).astype(np.uint64)) for _ in range(60)]
+    rows = spark.createDataFrame([(1, i, i, 0) for i in range(60)], "bucket long, node long, d0 long, d1 long")
+    data = spark.createDataFrame([(i, 0, bytearray(x.tobytes())) for i, x in enumerate(sets)], "d0 long, d1 long, shingles binary")
+    near = [(i, j) for i in range(60) for j in range(i) if 5 * len(np.intersect1d(sets[i], sets[j])) >= 4 * len(np.union1d(sets[i], sets[j]))]
+    got = [(r.src, r.dst) for r in simhash.verified(rows, data, 0.8, tile).collect()]
+    assert classes(range(60), got) == classes(range(60), near)
+
+
 # lines
 
 
