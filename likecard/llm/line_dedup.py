@@ -13,6 +13,10 @@ from .components import components
 #: Characters of a shingle, least Jaccard similarity, and banding: lines at 0.8
 #: share one of 9 bands of 4 minima with probability 0.991.
 CHARS, THRESHOLD, BANDS, ROWS = 12, 0.8, 9, 4
+#: Lines of fewer words than SHORT have shingles of WINDOW characters at every
+#: character. Lines of fewer than GUEST words (a quarter more) may resemble them.
+WINDOW, SHORT, GUEST = 5, 30, 38
+_SOLID, _WHITE, _MARK = r"[^\x20\x09-\x0D]", r"[\x20\x09-\x0D]", 0x5DEECE66D1CEB00C
 
 
 def shingles(line: Column, chars: int = CHARS) -> Column:
@@ -27,6 +31,33 @@ def shingles(line: Column, chars: int = CHARS) -> Column:
     return F.when(line.rlike(f"{solid}{{{2 * chars + 1}}}"), each).otherwise(heads)
 
 
+def windows(line: Column, window: int = WINDOW) -> Column:
+    """All windows of `window` characters; a shorter line is one itself."""
+    return F.when(F.length(line) < window, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(rf"(?s)(?=(.{{{window}}}))."), F.lit(1)))
+
+
+def _has_words(line: Column, n: int) -> Column:
+    return line.rlike(f"^{_WHITE}*+(?:{_SOLID}++{_WHITE}++){{{n - 1}}}{_SOLID}")
+
+
+def _home(h: Column, guest: Column) -> Column:
+    """The line of a row of `views`, and the other way round."""
+    return F.when(guest == 1, h.bitwiseXOR(F.lit(_MARK))).otherwise(h)
+
+
+def views(rows: DataFrame, chars: int = CHARS) -> DataFrame:
+    """(h, guest, s) for rows (h, line): shingles s of each line. Lines of fewer
+    than SHORT words have all windows, others `shingles`. So that lines on both
+    sides of that length meet, those that are a little longer, or hold a word of
+    over twice `chars` characters, come once more with all windows, as guests
+    under a number of their own."""
+    line, long = F.col("line"), _has_words(F.col("line"), SHORT)
+    twice = long & (~_has_words(line, GUEST) | line.rlike(f"{_SOLID}{{{2 * chars + 1}}}"))
+    rows = rows.select("h", "line", long.alias("long"), F.explode(F.when(twice, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))).alias("guest"))
+    s = F.when(F.col("long") & (F.col("guest") == 0), shingles(line, chars)).otherwise(windows(line))
+    return rows.select(_home(F.col("h"), F.col("guest")).alias("h"), "guest", s.alias("s"))
+
+
 def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, pos, line, h) of every line with a visible character."""
     flat = docs.select(F.col(id_col).cast("long").alias("id"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n", -1)).alias("pos", "line"))
@@ -34,17 +65,17 @@ def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """(h, n, bands): one row per different line, with its number of places.
-    Minima are taken over exploded shingles with partial sums, so equal lines
+    """(h, guest, n, bands): one row per different line (two if it is a guest
+    too, see `views`), with its number of places. Minima are taken over exploded shingles with partial sums, so equal lines
     merge before the shuffle."""
     rng = random.Random(41)
     masks = [rng.getrandbits(32) - (1 << 31) for _ in range(bands * width)]
-    flat = rows.select("h", F.posexplode(shingles(F.col("line"), chars)).alias("at", "s"))
-    flat = flat.select("h", F.when(F.col("at") == 0, 1).otherwise(0).alias("one"), F.shiftright(F.xxhash64("s"), 32).cast("int").alias("s"))
+    flat = views(rows, chars).select("h", "guest", F.posexplode("s").alias("at", "s"))
+    flat = flat.select("h", "guest", F.when(F.col("at") == 0, 1).otherwise(0).alias("one"), F.shiftright(F.xxhash64("s"), 32).cast("int").alias("s"))
     minima = [F.min(F.col("s").bitwiseXOR(F.lit(m).cast("int"))).alias(f"m{i}") for i, m in enumerate(masks)]
-    flat = flat.groupBy("h").agg(F.sum("one").alias("n"), *minima)
+    flat = flat.groupBy("h", "guest").agg(F.sum("one").alias("n"), *minima)
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * width + i}") for i in range(width)]) for b in range(bands)]
-    return flat.select("h", "n", F.array(*keys).alias("bands"))
+    return flat.select("h", "guest", "n", F.array(*keys).alias("bands"))
 
 
 def alike(sa: Column, sb: Column, threshold: float) -> Column:
@@ -56,9 +87,11 @@ def alike(sa: Column, sb: Column, threshold: float) -> Column:
 
 
 def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
-    """The pairs (a, b) whose shingle sets have at least that Jaccard similarity."""
-    both = pairs.join(sets.select(F.col("h").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("h").alias("b"), F.col("set").alias("sb")), "b")
-    return both.filter(alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b")
+    """The pairs (a, b), with ga and gb, whose shingle sets have at least that
+    Jaccard similarity; two guests are left to their other rows."""
+    a, b = (sets.select(F.col("h").alias(x), F.col("guest").alias(f"g{x}"), F.col("set").alias(f"s{x}")) for x in "ab")
+    both = pairs.join(a, "a").join(b, "b").filter("ga + gb < 2")
+    return both.filter(alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b", "ga", "gb")
 
 
 def shared_shingles(sets: DataFrame) -> DataFrame:
@@ -80,8 +113,8 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     lines count once; links are verified on the full shingle sets.
     """
     sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
-    flat = sig.select("h", "n", F.explode("bands").alias("band"))
-    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high")
+    flat = sig.select("h", "guest", "n", F.explode("bands").alias("band"))
+    ends = flat.groupBy("band").agg(F.min("guest").alias("guest"), F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high and guest = 0")
     ends = cut(ends.groupBy("low", "high", "k", "mix").agg(F.min("band").alias("band")))
     members = cut(flat.join(ends.filter("k > 2"), "band").select("band", "h", "n", "low"))
     most = cut(members.groupBy("band").agg(F.max(F.struct("n", "h")).alias("m")).select("band", F.col("m.h").alias("top")))
@@ -90,8 +123,10 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.filter("k = 2").select(F.col("low").alias("a"), F.col("high").alias("b")))
     pairs = cut(pairs.distinct())
     wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
-    sets = lines(docs, id_col, text_col).select("h", "line").join(wanted, "h", "left_semi").dropDuplicates(["h"])
-    sets = cut(sets.select("h", F.array_distinct(F.transform(shingles(F.col("line"), chars), lambda x: F.xxhash64(x))).alias("set")))
+    homes = wanted.select(F.explode(F.array("h", F.col("h").bitwiseXOR(F.lit(_MARK)))).alias("h")).distinct()
+    sets = lines(docs, id_col, text_col).select("h", "line").join(homes, "h", "left_semi").dropDuplicates(["h"])
+    sets = views(sets, chars).join(wanted, "h", "left_semi")
+    sets = cut(sets.select("h", "guest", F.array_distinct(F.transform("s", lambda x: F.xxhash64(x))).alias("set")))
     links = cut(similar(pairs, sets, threshold))
     found = components(links, "a", "b")
     of = found.select(F.col("node").alias("h"), "component")
@@ -103,14 +138,13 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     if not left.isEmpty():
         rest = named.select("band", "h", "c").join(left.select("band").distinct(), "band", "left_semi")
         near = sets.join(rest.select("h").distinct(), "h", "left_semi")
-        near = cut(near.join(shared_shingles(near), "h").select("h", "set", "n", "shared"))
-        a = left.join(near, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("shared").alias("wa"), F.col("set").alias("sa"))
-        b = rest.join(near, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("shared").alias("wb"), F.col("set").alias("sb"))
+        near = cut(near.join(shared_shingles(near), "h").select("h", "guest", "set", "n", "shared"))
+        a = left.join(near, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("guest").alias("ga"), F.col("n").alias("na"), F.col("shared").alias("wa"), F.col("set").alias("sa"))
+        b = rest.join(near, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("guest").alias("gb"), F.col("n").alias("nb"), F.col("shared").alias("wb"), F.col("set").alias("sb"))
         enough = F.least("wa", "wb") * (1 + threshold) >= threshold * (F.col("na") + F.col("nb"))
-        linked = (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & enough & alike(F.col("sa"), F.col("sb"), threshold)
-        extra = cut(a.join(b, linked).select("a", "b"))
-        if not extra.isEmpty():
-            found = components(links.unionByName(extra), "a", "b")
+        linked = (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & (F.col("ga") + F.col("gb") < 2) & enough & alike(F.col("sa"), F.col("sb"), threshold)
+        links = cut(links.unionByName(a.join(b, linked).select("a", "b", "ga", "gb")))
+    found = components(links.select(_home(F.col("a"), F.col("ga")).alias("a"), _home(F.col("b"), F.col("gb")).alias("b")), "a", "b")
     return found.select(F.col("node").alias("h"), F.col("component").alias("class"))
 
 

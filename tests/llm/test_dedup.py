@@ -244,6 +244,27 @@ def test_large_band_of_alike_lines(spark, docs):
     assert gone == {i for i in want if want[i] != i}
 
 
+def test_near_short_lines(spark, docs):
+    """Lines of 6 to 36 words, under 30 on one side at least, with a letter or
+    the words at their end changed, against plain windows of five characters."""
+    rng = random.Random(14)
+    rows = []
+    for i in range(200):
+        w = sentence(rng, 6 + i % 24).split()
+        rows.append((i, " ".join(w)))
+        if i % 24 > 20 and i % 2:
+            rows.append((1000 + i, " ".join(w + ["ab"] * rng.randint(1, 7))))
+        else:
+            t = rows[-1][1]
+            k = rng.randrange(len(t))
+            rows.append((1000 + i, t[:k] + "z" + t[k + 1 :]))
+    rows += [(3000, "漢字かな交じりの文はここで終わりです。次の文"), (3001, "漢字かな交じりの文はここで終わりです。次の本"), (3002, "abc"), (3003, "abd")]
+    sets = {i: {t[k : k + 5] for k in range(max(1, len(t) - 4))} for i, t in rows}
+    want = classes(sets, [(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])])
+    gone, over = ({r.doc_id for r in line_dedup.report(docs(rows)).filter("n_removed = 1").collect()}, {i for i in want if want[i] != i})
+    assert len(over) > 150 and gone <= over and len(over - gone) <= 3 and 3001 in gone
+
+
 @pytest.mark.parametrize("op", [line_dedup.report, line_dedup.dedup])
 def test_hard_lines(spark, docs, op):
     assert op(docs(HARD)).count() == len(HARD) and op(docs([])).count() == 0
