@@ -106,10 +106,10 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     """(h, class): the class of each different line that is linked to another.
 
     Lines that share a band are candidates. In a band all meet its most frequent
-    line and its least one; those that neither linked, directly or through
-    others, meet what is not in their class yet and shares enough shingles with
-    any line at all to reach the threshold. So large bands of alike lines cost
-    what they hold, and no link across classes is lost. Bands with the same
+    line and its least one; those that are then outside the class with the most
+    lines of the band meet what is not in their class yet and shares enough
+    shingles with any line at all to reach the threshold. So large bands of
+    alike lines cost what they hold, and all lines of different classes meet. Bands with the same
     lines count once; links are verified on the full shingle sets.
     """
     sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
@@ -131,9 +131,9 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     found = components(links, "a", "b")
     of = found.select(F.col("node").alias("h"), "component")
     named = members.join(of, "h", "left").withColumn("c", F.coalesce("component", "h")).drop("component")
-    for end in ("low", "top"):
-        named = named.join(of.select(F.col("h").alias(end), F.col("component").alias(f"{end}_c")), end, "left").withColumn(f"{end}_c", F.coalesce(f"{end}_c", end))
-    named = cut(named.select("band", "h", "c", ((F.col("c") != F.col("low_c")) & (F.col("c") != F.col("top_c"))).alias("apart")))
+    named = cut(named.select("band", "h", "c"))
+    main = named.groupBy("band", "c").count().groupBy("band").agg(F.max(F.struct("count", "c")).alias("m")).select("band", F.col("m.c").alias("main"))
+    named = cut(named.join(main, "band").select("band", "h", "c", (F.col("c") != F.col("main")).alias("apart")))
     left = cut(named.filter("apart").select("band", "h", "c"))
     if not left.isEmpty():
         rest = named.select("band", "h", "c").join(left.select("band").distinct(), "band", "left_semi")

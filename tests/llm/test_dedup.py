@@ -265,6 +265,31 @@ def test_near_short_lines(spark, docs):
     assert len(over) > 150 and gone <= over and len(over - gone) <= 3 and 3001 in gone
 
 
+def test_links_between_the_classes_of_a_band(spark, docs):
+    """Chains of four versions of a line, in one band: where the ends of a chain
+    are the band's least and most frequent line, its middle link must be met."""
+    rng = random.Random(15)
+    rows = []
+    for i in range(150):
+        w = sentence(rng, 40).split()
+        for k in range(4):
+            rows.append((10 * i + k, " ".join(w)))
+            w[3 + 9 * k] = f"v{k}xyz"
+    df = docs(rows)
+    of = {t: i for i, t in rows}
+    line = {xxhash.xxh64_intdigest(t, 42): t for t in of}
+    sets = {i: brute_shingles(t) for i, t in rows}
+    bands = defaultdict(list)
+    for r in line_dedup.signatures(line_dedup.lines(df), bands=1, width=1).collect():
+        if r.h % 2**64 in line:
+            bands[r.bands[0]].append(of[line[r.h % 2**64]])
+    links = [(a, b) for m in bands.values() for a in m for b in m if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    want = classes(sets, links)
+    gone = {r.doc_id for r in line_dedup.report(df, bands=1, width=1).filter("n_removed = 1").collect()}
+    assert gone == {i for i in want if want[i] != i}
+    assert sum(len([i for i in m if i // 10 == c]) == 4 for m in bands.values() for c in {i // 10 for i in m}) > 20
+
+
 @pytest.mark.parametrize("op", [line_dedup.report, line_dedup.dedup])
 def test_hard_lines(spark, docs, op):
     assert op(docs(HARD)).count() == len(HARD) and op(docs([])).count() == 0
