@@ -22,7 +22,8 @@ _RANK = {kind: i for i, kind in enumerate(BASE + ADDED)}
 _HINTS = ("passw", "secret", "token", "api")
 _WIRE = (b"ssh-rsa", b"ssh-dss", b"ssh-ed25519", b"ecdsa-sha2-nistp256", b"ecdsa-sha2-nistp384", b"ecdsa-sha2-nistp521", b"openssh-key-v1")
 
-_JWT = re.compile(r"(?<![A-Za-z0-9_-])(eyJ[A-Za-z0-9_-]+)\.([A-Za-z0-9_-]+)\.([A-Za-z0-9_-]*)")
+# Encoded, a brace begins with ey or, before a tab or a line's end, with ew; the least token has 19 characters.
+_JWT = re.compile(r"(?<![A-Za-z0-9_-])(e[yw][A-Za-z0-9_-]+)\.([A-Za-z0-9_-]+)\.([A-Za-z0-9_-]*)")
 _PEM = re.compile(r"-----BEGIN ((?:[A-Z0-9]+ )*)PRIVATE KEY-----([A-Za-z0-9+/=\s]+)-----END \1PRIVATE KEY-----")
 _B64 = re.compile(r"[A-Za-z0-9+/_-]{40,}={0,2}")
 _HEXKEY = re.compile(r"(?:[0-9a-f]{2}){24,}|(?:[0-9A-F]{2}){24,}")
@@ -117,11 +118,12 @@ def confirmed_spans(text: str) -> list[tuple[int, str, int]]:
     """(start, kind, end) of candidates whose decoded structure is that of a
     signed token, a private key block, or an encoded key."""
     found = []
-    if "eyJ" in text:
+    longest = max(map(len, text.split()), default=0)
+    if longest >= 19 and ("ey" in text or "ew" in text):
         found += [(m.start(), "jwt", m.end()) for m in _JWT.finditer(text) if is_signed_token(m[1], m[2])]
     if "-----BEGIN " in text:
         found += [(m.start(), "pem", m.end()) for m in _PEM.finditer(text) if is_key(_decoded("".join(m[2].split())))]
-    if max(map(len, text.split()), default=0) >= 40:
+    if longest >= 40:
         found += [(m.start(), "key", m.end()) for m in _B64.finditer(text) if is_key(_decoded(m[0]))]
         found += [(m.start(), "key", m.end()) for m in _HEXKEY.finditer(text) if is_key(bytes.fromhex(m[0]))]
     return found

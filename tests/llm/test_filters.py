@@ -205,3 +205,11 @@ def test_structure_confirms():
 
 def test_secrets_on_hard_rows(spark, docs):
     assert secrets.scan(docs(HARD)).count() == len(HARD) and secrets.scan(docs([])).count() == 0
+
+
+@pytest.mark.parametrize("head", ['{ "alg": "HS256"}', '{\n "alg": "HS256"}', '{\t"alg":"none"}', '{"alg":""}'])
+def test_signed_tokens_with_white_space(head):
+    encoded = lambda t: base64.urlsafe_b64encode(t.encode()).rstrip(b"=").decode()
+    run = f"{encoded(head)}.{encoded('{}')}."
+    assert secrets.confirmed_spans(f"they knew {run} here") == [(10, "jwt", 10 + len(run))]
+    assert secrets.confirmed_spans("they knew eyes.of.newts and ewes.newer.than_before") == []
