@@ -3,79 +3,97 @@
 from __future__ import annotations
 
 import random
+from math import comb
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, let
 from .components import components
 
 #: Characters of a shingle, least Jaccard similarity, and banding: lines at 0.8
 #: share one of 9 bands of 4 minima with probability 0.991.
-CHARS, THRESHOLD, BANDS, ROWS = 12, 0.8, 9, 4
-#: Lines of fewer words than SHORT have shingles of WINDOW characters at every
-#: character. Lines of fewer than GUEST words (a quarter more) may resemble them.
-WINDOW, SHORT, GUEST = 5, 30, 38
-_SOLID, _WHITE, _MARK = r"[^\x20\x09-\x0D]", r"[\x20\x09-\x0D]", 0x5DEECE66D1CEB00C
+CHARS, THRESHOLD, BANDS, ROWS = 5, 0.8, 9, 4
+#: Shingles hashed in one row before minima are taken over rows; bytes of minima
+#: in a number; chance that a pair at the threshold is left out by its signatures.
+PACK, BYTES, MISS = 4, 7, 0.001
+#: Lines of a band outside its largest class that meet the band in one task.
+TILE = 2048
 
 
-def shingles(line: Column, chars: int = CHARS) -> Column:
-    """A line's character shingles, repeats included: windows of `chars`
-    characters, shorter at the end of the line, that begin at each word and in
-    it after every `chars` characters, so that they cover the line. Lines with
-    a word of over twice that length (scripts without spaces, links) have one
-    at every visible character."""
-    solid, window = r"[^\x20\x09-\x0D]", rf"(?s)(?=(.{{1,{chars}}}))"
-    each = F.regexp_extract_all(line, F.lit(f"{window}{solid}"), F.lit(1))
-    heads = F.regexp_extract_all(line, F.lit(f"{window}{solid}{{1,{chars}}}"), F.lit(1))
-    return F.when(line.rlike(f"{solid}{{{2 * chars + 1}}}"), each).otherwise(heads)
+def _points(line: Column) -> Column:
+    """A line at four bytes a code point, so that a window is a slice at a known place."""
+    return F.encode(line, "UTF-32")
 
 
-def windows(line: Column, window: int = WINDOW) -> Column:
-    """All windows of `window` characters; a shorter line is one itself."""
-    return F.when(F.length(line) < window, F.array(line)).otherwise(F.regexp_extract_all(line, F.lit(rf"(?s)(?=(.{{{window}}}))."), F.lit(1)))
+def _last(points: Column, chars: int) -> Column:
+    """Place of the last window; a line shorter than a window has one, itself."""
+    return F.greatest(F.lit(0), (F.length(points) / 4).cast("int") - chars)
 
 
-def _has_words(line: Column, n: int) -> Column:
-    return line.rlike(f"^{_WHITE}*+(?:{_SOLID}++{_WHITE}++){{{n - 1}}}{_SOLID}")
+def _window(points: Column, at: Column, chars: int) -> Column:
+    return F.xxhash64(F.substring(points, 4 * at + 1, F.lit(4 * chars)))
 
 
-def _home(h: Column, guest: Column) -> Column:
-    """The line of a row of `views`, and the other way round."""
-    return F.when(guest == 1, h.bitwiseXOR(F.lit(_MARK))).otherwise(h)
-
-
-def views(rows: DataFrame, chars: int = CHARS) -> DataFrame:
-    """(h, guest, s) for rows (h, line): shingles s of each line. Lines of fewer
-    than SHORT words have all windows, others `shingles`. So that lines on both
-    sides of that length meet, those that are a little longer, or hold a word of
-    over twice `chars` characters, come once more with all windows, as guests
-    under a number of their own."""
-    line, long = F.col("line"), _has_words(F.col("line"), SHORT)
-    twice = long & (~_has_words(line, GUEST) | line.rlike(f"{_SOLID}{{{2 * chars + 1}}}"))
-    rows = rows.select("h", "line", long.alias("long"), F.explode(F.when(twice, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))).alias("guest"))
-    s = F.when(F.col("long") & (F.col("guest") == 0), shingles(line, chars)).otherwise(windows(line))
-    return rows.select(_home(F.col("h"), F.col("guest")).alias("h"), "guest", s.alias("s"))
+def shingle_set(line: Column, chars: int = CHARS) -> Column:
+    """The different hashes of all windows of `chars` characters of a line."""
+    every = lambda p: F.transform(F.sequence(F.lit(0), _last(p, chars)), lambda i: _window(p, i, chars))
+    return F.array_distinct(let(_points(line), every))
 
 
 def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, pos, line, h) of every line with a visible character."""
-    flat = docs.select(F.col(id_col).cast("long").alias("id"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n", -1)).alias("pos", "line"))
+    """(id, pos, line, h) of every line with a visible character in a row with an id."""
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).filter("id is not null")
+    flat = rows.select("id", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line"))
     return flat.filter(F.col("line").rlike(r"[^\x20\x09-\x0D]")).withColumn("h", F.xxhash64("line"))
 
 
 def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """(h, guest, n, bands): one row per different line (two if it is a guest
-    too, see `views`), with its number of places. Minima are taken over exploded shingles with partial sums, so equal lines
-    merge before the shuffle."""
+    """(h, n, at, bands) of rows (h, line, at): one row per different line, with its
+    number of places, the least `at` of them, and a key of each band.
+
+    Every window of a line is hashed, PACK of them a row; the minima under fixed
+    masks are taken with partial sums, so equal lines merge before the shuffle.
+    """
     rng = random.Random(41)
     masks = [rng.getrandbits(32) - (1 << 31) for _ in range(bands * width)]
-    flat = views(rows, chars).select("h", "guest", F.posexplode("s").alias("at", "s"))
-    flat = flat.select("h", "guest", F.when(F.col("at") == 0, 1).otherwise(0).alias("one"), F.shiftright(F.xxhash64("s"), 32).cast("int").alias("s"))
-    minima = [F.min(F.col("s").bitwiseXOR(F.lit(m).cast("int"))).alias(f"m{i}") for i, m in enumerate(masks)]
-    flat = flat.groupBy("h", "guest").agg(F.sum("one").alias("n"), *minima)
+    rows = rows.select("h", "at", _points(F.col("line")).alias("p")).select("h", "at", "p", _last(F.col("p"), chars).alias("last"))
+    rows = rows.select("h", "at", "p", "last", F.explode(F.sequence(F.lit(0), F.col("last"), F.lit(PACK))).alias("i"))
+    hashed = [F.shiftright(_window(F.col("p"), F.least(F.col("i") + j, F.col("last")), chars), 32).cast("int").alias(f"s{j}") for j in range(PACK)]
+    rows = rows.select("h", "at", F.when(F.col("i") == 0, 1).otherwise(0).alias("one"), *hashed)
+    low = lambda m: F.least(*[F.col(f"s{j}").bitwiseXOR(F.lit(m).cast("int")) for j in range(PACK)])
+    minima = [F.min(low(m)).alias(f"m{i}") for i, m in enumerate(masks)]
+    rows = rows.groupBy("h").agg(F.sum("one").alias("n"), F.min("at").alias("at"), *minima)
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * width + i}") for i in range(width)]) for b in range(bands)]
-    return flat.select("h", "guest", "n", F.array(*keys).alias("bands"))
+    low_byte = lambda i: F.shiftleft(F.col(f"m{i}").bitwiseAND(F.lit(255)).cast("long"), i % BYTES * 8)
+    packed = []
+    for at in range(0, len(masks), BYTES):
+        word = low_byte(at)
+        for i in range(at + 1, min(at + BYTES, len(masks))):
+            word = word.bitwiseOR(low_byte(i))
+        packed.append(word)
+    return rows.select("h", "n", "at", F.array(*keys).alias("bands"), F.array(*packed).alias("sig"))
+
+
+def least_agreement(minima: int, threshold: float, miss: float = MISS) -> int:
+    """The most equal minima that a pair at the threshold falls short of with a
+    chance of `miss` at most."""
+    below, k = 0.0, 0
+    while (below := below + comb(minima, k) * threshold**k * (1 - threshold) ** (minima - k)) <= miss:
+        k += 1
+    return k
+
+
+def agree(a: Column, b: Column, minima: int) -> Column:
+    """Number of equal bytes in two packed signatures of that many minima: bytes
+    of an exclusive-or that are zero, told for all bytes of a number at once."""
+    ones, tops = (int("01" * BYTES, 16) * x for x in (0x7F, 0x80))
+    words, out = -(-minima // BYTES), F.lit(0)
+    for i in range(1, words + 1):
+        x = F.element_at(a, i).bitwiseXOR(F.element_at(b, i))
+        some = (x.bitwiseAND(F.lit(ones)) + F.lit(ones)).bitwiseOR(x)
+        out = out + F.bit_count(F.bitwise_not(some).bitwiseAND(F.lit(tops)))
+    return out - (words * BYTES - minima)
 
 
 def alike(sa: Column, sb: Column, threshold: float) -> Column:
@@ -86,72 +104,76 @@ def alike(sa: Column, sb: Column, threshold: float) -> Column:
     return F.when(low < threshold * high, False).otherwise(common >= threshold * (low + high - common))
 
 
-def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
-    """The pairs (a, b), with ga and gb, whose shingle sets have at least that
-    Jaccard similarity; two guests are left to their other rows."""
-    a, b = (sets.select(F.col("h").alias(x), F.col("guest").alias(f"g{x}"), F.col("set").alias(f"s{x}")) for x in "ab")
-    both = pairs.join(a, "a").join(b, "b").filter("ga + gb < 2")
-    return both.filter(alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b", "ga", "gb")
+def similar(pairs: DataFrame, texts: DataFrame, chars: int, threshold: float) -> DataFrame:
+    """The pairs (a, b) whose lines have at least that Jaccard similarity. texts: (h, line)."""
+    a, b = (texts.select(F.col("h").alias(x), F.col("line").alias(f"l{x}")) for x in "ab")
+    both = pairs.join(a, "a").join(b, "b")
+    sets = F.array(shingle_set(F.col("la"), chars), shingle_set(F.col("lb"), chars))
+    return both.filter(let(sets, lambda s: alike(F.element_at(s, 1), F.element_at(s, 2), threshold))).select("a", "b")
+
+
+def picked(pairs: DataFrame, sig: DataFrame, minima: int, least: int) -> DataFrame:
+    """The pairs (a, b) whose signatures agree in at least that many minima."""
+    a, b = (sig.select(F.col("h").alias(x), F.col("sig").alias(f"s{x}")) for x in "ab")
+    return pairs.join(a, "a").join(b, "b").filter(agree(F.col("sa"), F.col("sb"), minima) >= least).select("a", "b")
+
+
+def texts_of(every: DataFrame, sig: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(h, line) of the lines in pairs. One place of each, chosen by hash, is
+    asked for, so a line that is hot is spread by its places and read once."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()
+    wanted = cut(sig.select("h", "at").join(wanted, "h", "left_semi"))
+    return cut(every.join(wanted, ["h", "at"], "left_semi").select("h", "line").dropDuplicates(["h"]))
 
 
-def shared_shingles(sets: DataFrame) -> DataFrame:
-    """(h, n, shared): the shingles of a line, and how many of them any other
-    line of sets has: no two lines can have more than that in common."""
-    flat = sets.select("h", F.size("set").alias("n"), F.explode("set").alias("s"))
-    often = flat.groupBy("s").agg(F.count("*").alias("k")).filter("k > 1").select("s", F.lit(1).alias("one"))
-    return flat.join(often, "s", "left").groupBy("h", "n").agg(F.count("one").alias("shared"))
+def across_classes(members: DataFrame, links: DataFrame, minima: int, least: int) -> DataFrame:
+    """Pairs (a, b) of lines of one band (members: band, h, sig) whose signatures
+    agree and that are in different classes by the links found so far. The lines
+    outside the class with the most lines of a band meet all lines of the band
+    but those of their own class; where they are many, in tiles."""
+    of = components(links, "a", "b").select(F.col("node").alias("h"), "component")
+    named = cut(members.join(of, "h", "left").select("band", "h", "sig", F.coalesce("component", "h").alias("c")))
+    sizes = named.groupBy("band", "c").count().groupBy("band").agg(F.max_by("c", "count").alias("main"), (F.sum("count") - F.max("count")).alias("rest"))
+    sizes = cut(sizes.filter("rest > 0").select("band", "main", F.ceil(F.col("rest") / TILE).cast("int").alias("tiles")))
+    named = named.join(sizes, "band")
+    a = cut(named.filter("c != main").select(F.struct("band", F.pmod(F.xxhash64("h"), F.col("tiles")).cast("int").alias("tile")).alias("x"), F.col("h").alias("a"), F.col("c").alias("ca"), F.col("sig").alias("sa")))
+    b = cut(named.select("band", "h", "c", "sig", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("tile")).select(F.struct("band", "tile").alias("y"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("sig").alias("sb")))
+    met = (F.col("x") == F.col("y")) & (F.col("ca") != F.col("cb")) & (agree(F.col("sa"), F.col("sb"), minima) >= least)
+    return a.join(b, met).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> DataFrame:
     """(h, class): the class of each different line that is linked to another.
 
     Lines that share a band are candidates. In a band all meet its most frequent
-    line and its least one; those that are then outside the class with the most
-    lines of the band meet what is not in their class yet and shares enough
-    shingles with any line at all to reach the threshold. So large bands of
-    alike lines cost what they hold, and all lines of different classes meet. Bands with the same
-    lines count once; links are verified on the full shingle sets.
+    line and its least one; then lines of different classes meet (see
+    `across_classes`). So large bands of alike lines cost what they hold, and no
+    link within a band is lost. Pairs whose signatures agree in too few minima
+    to be at the threshold (but for a chance of MISS) go no further; the others
+    are verified on all windows of both lines. Bands with the same lines count once.
     """
-    sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
-    flat = sig.select("h", "guest", "n", F.explode("bands").alias("band"))
-    ends = flat.groupBy("band").agg(F.min("guest").alias("guest"), F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high and guest = 0")
+    every = lines(docs, id_col, text_col).withColumn("at", F.xxhash64("id", "pos"))
+    sig = cut(signatures(every, chars, bands, width))
+    minima, least = bands * width, least_agreement(bands * width, threshold)
+    flat = sig.select("h", "n", "sig", F.explode("bands").alias("band"))
+    ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high")
     ends = cut(ends.groupBy("low", "high", "k", "mix").agg(F.min("band").alias("band")))
-    members = cut(flat.join(ends.filter("k > 2"), "band").select("band", "h", "n", "low"))
-    most = cut(members.groupBy("band").agg(F.max(F.struct("n", "h")).alias("m")).select("band", F.col("m.h").alias("top")))
-    members = cut(members.join(most, "band").select("band", "h", "low", "top"))
-    stars = members.select("h", F.explode(F.array("low", "top")).alias("o")).filter("h != o")
+    members = cut(flat.join(ends.filter("k > 2").select("band", "low"), "band").select("band", "h", "n", "sig", "low"))
+    most = members.groupBy("band").agg(F.max_by("h", "n").alias("top"))
+    stars = members.join(most, "band").select("h", F.explode(F.array("low", "top")).alias("o")).filter("h != o")
     pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.filter("k = 2").select(F.col("low").alias("a"), F.col("high").alias("b")))
-    pairs = cut(pairs.distinct())
-    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
-    homes = wanted.select(F.explode(F.array("h", F.col("h").bitwiseXOR(F.lit(_MARK)))).alias("h")).distinct()
-    sets = lines(docs, id_col, text_col).select("h", "line").join(homes, "h", "left_semi").dropDuplicates(["h"])
-    sets = views(sets, chars).join(wanted, "h", "left_semi")
-    sets = cut(sets.select("h", "guest", F.array_distinct(F.transform("s", lambda x: F.xxhash64(x))).alias("set")))
-    links = cut(similar(pairs, sets, threshold))
-    found = components(links, "a", "b")
-    of = found.select(F.col("node").alias("h"), "component")
-    named = members.join(of, "h", "left").withColumn("c", F.coalesce("component", "h")).drop("component")
-    named = cut(named.select("band", "h", "c"))
-    main = named.groupBy("band", "c").count().groupBy("band").agg(F.max(F.struct("count", "c")).alias("m")).select("band", F.col("m.c").alias("main"))
-    named = cut(named.join(main, "band").select("band", "h", "c", (F.col("c") != F.col("main")).alias("apart")))
-    left = cut(named.filter("apart").select("band", "h", "c"))
-    if not left.isEmpty():
-        rest = named.select("band", "h", "c").join(left.select("band").distinct(), "band", "left_semi")
-        near = sets.join(rest.select("h").distinct(), "h", "left_semi")
-        near = cut(near.join(shared_shingles(near), "h").select("h", "guest", "set", "n", "shared"))
-        a = left.join(near, "h").select("band", F.col("h").alias("a"), F.col("c").alias("ca"), F.col("guest").alias("ga"), F.col("n").alias("na"), F.col("shared").alias("wa"), F.col("set").alias("sa"))
-        b = rest.join(near, "h").select(F.col("band").alias("with"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("guest").alias("gb"), F.col("n").alias("nb"), F.col("shared").alias("wb"), F.col("set").alias("sb"))
-        enough = F.least("wa", "wb") * (1 + threshold) >= threshold * (F.col("na") + F.col("nb"))
-        linked = (F.col("band") == F.col("with")) & (F.col("ca") != F.col("cb")) & (F.col("ga") + F.col("gb") < 2) & enough & alike(F.col("sa"), F.col("sb"), threshold)
-        links = cut(links.unionByName(a.join(b, linked).select("a", "b", "ga", "gb")))
-    found = components(links.select(_home(F.col("a"), F.col("ga")).alias("a"), _home(F.col("b"), F.col("gb")).alias("b")), "a", "b")
-    return found.select(F.col("node").alias("h"), F.col("component").alias("class"))
+    pairs = cut(picked(pairs.distinct(), sig, minima, least))
+    links = cut(similar(pairs, texts_of(every, sig, pairs), chars, threshold))
+    more = cut(across_classes(members.select("band", "h", "sig"), links, minima, least).join(pairs, ["a", "b"], "left_anti"))
+    if not more.isEmpty():
+        links = links.unionByName(similar(more, texts_of(every, sig, more), chars, threshold))
+    return components(links, "a", "b").select(F.col("node").alias("h"), F.col("component").alias("class"))
 
 
 def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> tuple[DataFrame, DataFrame]:
     """((id, pos) of the lines to remove, (id, pos) of all lines). Of each class
     its first occurrence by id, then place, stays; equal lines are one class."""
-    every = cut(lines(docs, id_col, text_col).select("id", "pos", "h").filter("id is not null"))
+    every = cut(lines(docs, id_col, text_col).select("id", "pos", "h"))
     named = cut(classes(docs, id_col, text_col, chars, threshold, bands, width))
     rows = cut(every.join(named, "h", "left").select("id", "pos", F.coalesce("class", "h").alias("class")))
     place = F.struct("id", "pos")

@@ -200,16 +200,58 @@ def test_equal_lines_keep_their_first_place(spark, docs):
     assert rep == {1: (2, 0, []), 2: (2, 1, [0]), 3: (1, 1, [0]), 4: (0, 0, []), 5: (0, 0, [])}
 
 
-def brute_shingles(line, k=12):
-    solid = r"[^\x20\x09-\x0D]"
-    unit = solid if re.search(f"{solid}{{{2 * k + 1}}}", line) else f"{solid}{{1,{k}}}"
-    return frozenset(m[1] for m in re.finditer(f"(?s)(?=(.{{1,{k}}})){unit}", line))
-
-
-def test_shingles(spark):
-    cases = ["one two three four five", "x", "averyverylongwordwithoutspaces again", "漢" * 40, "mid-length-words-of-twenty ok", "a\tb  c"]
-    df = spark.createDataFrame([(c,) for c in cases], "line string").select("line", line_dedup.shingles(F.col("line")).alias("s"))
-    assert {r.line: frozenset(r.s) for r in df.collect()} == {c: brute_shingles(c) for c in cases}
+def brute_shingles(line, k=5):
+    return frozenset(line[i : i + k] for i in range(max(1, len(line) - k + 1)))
+
+
+@pytest.mark.parametrize("k", [5, 12])
+def test_shingles(spark, k):
+    cases = ["one two three four five", "x", "averyverylongwordwithoutspaces again", "漢" * 40, "a\tb  c", "aaaaaaaaaaaaaaaaaa", "😀é" * 9]
+    df = spark.createDataFrame([(c,) for c in cases], "line string").select("line", line_dedup.shingle_set(F.col("line"), k).alias("s"))
+    got = {r.line: set(r.s) for r in df.collect()}
+    for c in cases:
+        want = [xxhash.xxh64_intdigest(x.encode("utf-32-be"), 42) for x in brute_shingles(c, k)]
+        assert got[c] == {x - 2**64 if x >= 2**63 else x for x in want}
+
+
+def test_agreement_of_signatures(spark):
+    rng = random.Random(3)
+    for bands, width in ((9, 4), (1, 1), (2, 7)):
+        text = [sentence(rng, 12) for _ in range(20)]
+        rows = spark.createDataFrame([(i, t, 0) for i, t in enumerate(text + [t[:-3] + "xyz" for t in text])], "h long, line string, at long")
+        n = bands * width
+        sig = line_dedup.signatures(rows, bands=bands, width=width).select("h", "sig")
+        a, b = sig.toDF("a", "x"), sig.toDF("b", "y")
+        bits = [(8 * (i % 7), i // 7) for i in range(n)]
+        for r in a.join(b, F.col("b") == F.col("a") + 20).select("x", "y", line_dedup.agree(F.col("x"), F.col("y"), n).alias("k")).collect():
+            assert r.k == sum((r.x[w] >> at & 255) == (r.y[w] >> at & 255) for at, w in bits)
+    assert line_dedup.least_agreement(1, 0.8) == 0 and line_dedup.least_agreement(36, 0.8) == 21
+
+
+@pytest.mark.parametrize("k", [5, 12])
+def test_lines_of_the_documents(spark, k):
+    """All different lines of the given documents against brute force over all
+    their windows: pairs that share a tenth of their windows' least hashes."""
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    text = sorted({x for r in df.collect() for x in (r.text or "").split("\n") if x.strip(" \t\n\x0b\f\r")})
+    sets = [brute_shingles(t, k) for t in text]
+    by = defaultdict(list)
+    for i, s in enumerate(sets):
+        # sets at 0.8 share one of the least floor(n / 5) + 1 of each in any one order
+        for x in sorted(s, key=lambda w: xxhash.xxh64_intdigest(w.encode()))[: len(s) // 5 + 1]:
+            by[x].append(i)
+    pairs = {(a, b) for m in by.values() for a in m for b in m if a < b and len(sets[a]) <= 1.25 * len(sets[b]) and len(sets[b]) <= 1.25 * len(sets[a])}
+    near = [(a, b) for a, b in pairs if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])]
+    of = {r["h"] % 2**64: r["class"] for r in line_dedup.classes(df, chars=k).collect()}
+    at = [of.get(xxhash.xxh64_intdigest(t.encode(), 42)) for t in text]
+    joined = sum(at[a] is not None and at[a] == at[b] for a, b in near)
+    whole = classes(range(len(text)), near)
+    assert len(near) > 100 and joined >= 0.98 * len(near)
+    group = defaultdict(set)
+    for i, c in enumerate(at):
+        if c is not None:
+            group[c].add(whole[i])
+    assert all(len(x) == 1 for x in group.values())
 
 
 def test_near_lines(spark, docs):
@@ -245,8 +287,8 @@ def test_large_band_of_alike_lines(spark, docs):
 
 
 def test_near_short_lines(spark, docs):
-    """Lines of 6 to 36 words, under 30 on one side at least, with a letter or
-    the words at their end changed, against plain windows of five characters."""
+    """Lines of 6 to 36 words with a letter or the words at their end changed, and
+    a word that grows from 24 to 25 characters, against all windows of five."""
     rng = random.Random(14)
     rows = []
     for i in range(200):
@@ -259,10 +301,12 @@ def test_near_short_lines(spark, docs):
             k = rng.randrange(len(t))
             rows.append((1000 + i, t[:k] + "z" + t[k + 1 :]))
     rows += [(3000, "漢字かな交じりの文はここで終わりです。次の文"), (3001, "漢字かな交じりの文はここで終わりです。次の本"), (3002, "abc"), (3003, "abd")]
-    sets = {i: {t[k : k + 5] for k in range(max(1, len(t) - 4))} for i, t in rows}
+    tail = sentence(rng, 30)
+    rows += [(4000, "x" * 24 + " " + tail), (4001, "x" * 25 + " " + tail)]
+    sets = {i: brute_shingles(t) for i, t in rows}
     want = classes(sets, [(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])])
     gone, over = ({r.doc_id for r in line_dedup.report(docs(rows)).filter("n_removed = 1").collect()}, {i for i in want if want[i] != i})
-    assert len(over) > 150 and gone <= over and len(over - gone) <= 3 and 3001 in gone
+    assert len(over) > 150 and gone <= over and len(over - gone) <= 3 and 3001 in gone and 4001 in gone
 
 
 def test_links_between_the_classes_of_a_band(spark, docs):
@@ -280,7 +324,7 @@ def test_links_between_the_classes_of_a_band(spark, docs):
     line = {xxhash.xxh64_intdigest(t, 42): t for t in of}
     sets = {i: brute_shingles(t) for i, t in rows}
     bands = defaultdict(list)
-    for r in line_dedup.signatures(line_dedup.lines(df), bands=1, width=1).collect():
+    for r in line_dedup.signatures(line_dedup.lines(df).withColumn("at", F.lit(0)), bands=1, width=1).collect():
         if r.h % 2**64 in line:
             bands[r.bands[0]].append(of[line[r.h % 2**64]])
     links = [(a, b) for m in bands.values() for a in m for b in m if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
