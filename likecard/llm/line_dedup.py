@@ -16,7 +16,7 @@ from .components import components
 CHARS, THRESHOLD, BANDS, ROWS = 5, 0.8, 9, 4
 #: Shingles hashed in one row before minima are taken over rows; bytes of minima
 #: in a number; chance that a pair at the threshold is left out by its signatures.
-PACK, BYTES, MISS = 4, 7, 0.001
+PACK, BYTES, MISS = 8, 7, 0.001
 #: Lines of a band outside its largest class that meet the band in one task.
 TILE = 2048
 
@@ -49,21 +49,22 @@ def lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """(h, n, at, bands) of rows (h, line, at): one row per different line, with its
-    number of places, the least `at` of them, and a key of each band.
+    """(h, n, id, bands, sig) of rows (h, line, id): one row per different line, with
+    its number of places, its least id, a key of each band, and the low bytes of
+    the minima, packed.
 
     Every window of a line is hashed, PACK of them a row; the minima under fixed
     masks are taken with partial sums, so equal lines merge before the shuffle.
     """
     rng = random.Random(41)
     masks = [rng.getrandbits(32) - (1 << 31) for _ in range(bands * width)]
-    rows = rows.select("h", "at", _points(F.col("line")).alias("p")).select("h", "at", "p", _last(F.col("p"), chars).alias("last"))
-    rows = rows.select("h", "at", "p", "last", F.explode(F.sequence(F.lit(0), F.col("last"), F.lit(PACK))).alias("i"))
+    rows = rows.select("h", "id", _points(F.col("line")).alias("p")).select("h", "id", "p", _last(F.col("p"), chars).alias("last"))
+    rows = rows.select("h", "id", "p", "last", F.explode(F.sequence(F.lit(0), F.col("last"), F.lit(PACK))).alias("i"))
     hashed = [F.shiftright(_window(F.col("p"), F.least(F.col("i") + j, F.col("last")), chars), 32).cast("int").alias(f"s{j}") for j in range(PACK)]
-    rows = rows.select("h", "at", F.when(F.col("i") == 0, 1).otherwise(0).alias("one"), *hashed)
+    rows = rows.select("h", "id", F.when(F.col("i") == 0, 1).otherwise(0).alias("one"), *hashed)
     low = lambda m: F.least(*[F.col(f"s{j}").bitwiseXOR(F.lit(m).cast("int")) for j in range(PACK)])
     minima = [F.min(low(m)).alias(f"m{i}") for i, m in enumerate(masks)]
-    rows = rows.groupBy("h").agg(F.sum("one").alias("n"), F.min("at").alias("at"), *minima)
+    rows = rows.groupBy("h").agg(F.sum("one").alias("n"), F.min("id").alias("id"), *minima)
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * width + i}") for i in range(width)]) for b in range(bands)]
     low_byte = lambda i: F.shiftleft(F.col(f"m{i}").bitwiseAND(F.lit(255)).cast("long"), i % BYTES * 8)
     packed = []
@@ -72,7 +73,7 @@ def signatures(rows: DataFrame, chars: int = CHARS, bands: int = BANDS, width: i
         for i in range(at + 1, min(at + BYTES, len(masks))):
             word = word.bitwiseOR(low_byte(i))
         packed.append(word)
-    return rows.select("h", "n", "at", F.array(*keys).alias("bands"), F.array(*packed).alias("sig"))
+    return rows.select("h", "n", "id", F.array(*keys).alias("bands"), F.array(*packed).alias("sig"))
 
 
 def least_agreement(minima: int, threshold: float, miss: float = MISS) -> int:
@@ -118,12 +119,14 @@ def picked(pairs: DataFrame, sig: DataFrame, minima: int, least: int) -> DataFra
     return pairs.join(a, "a").join(b, "b").filter(agree(F.col("sa"), F.col("sb"), minima) >= least).select("a", "b")
 
 
-def texts_of(every: DataFrame, sig: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(h, line) of the lines in pairs. One place of each, chosen by hash, is
-    asked for, so a line that is hot is spread by its places and read once."""
+def texts_of(docs: DataFrame, id_col: str, text_col: str, sig: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(h, line) of the lines in pairs, each read from the least id that has it,
+    so a hot line is one row, and other documents are not split."""
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()
-    wanted = cut(sig.select("h", "at").join(wanted, "h", "left_semi"))
-    return cut(every.join(wanted, ["h", "at"], "left_semi").select("h", "line").dropDuplicates(["h"]))
+    wanted = cut(sig.select("h", "id").join(wanted, "h", "left_semi"))
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    some = rows.join(wanted.select("id").distinct(), "id", "left_semi")
+    return cut(lines(some, "id", "text").join(wanted, ["h", "id"], "left_semi").select("h", "line").dropDuplicates(["h"]))
 
 
 def across_classes(members: DataFrame, links: DataFrame, minima: int, least: int) -> DataFrame:
@@ -152,21 +155,21 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     to be at the threshold (but for a chance of MISS) go no further; the others
     are verified on all windows of both lines. Bands with the same lines count once.
     """
-    every = lines(docs, id_col, text_col).withColumn("at", F.xxhash64("id", "pos"))
-    sig = cut(signatures(every, chars, bands, width))
+    sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
     minima, least = bands * width, least_agreement(bands * width, threshold)
-    flat = sig.select("h", "n", "sig", F.explode("bands").alias("band"))
+    flat = sig.select("h", F.explode("bands").alias("band"))
     ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high")
     ends = cut(ends.groupBy("low", "high", "k", "mix").agg(F.min("band").alias("band")))
-    members = cut(flat.join(ends.filter("k > 2").select("band", "low"), "band").select("band", "h", "n", "sig", "low"))
+    members = flat.join(ends.filter("k > 2").select("band", "low"), "band")
+    members = cut(members.join(sig.select("h", "n", "sig"), "h"))
     most = members.groupBy("band").agg(F.max_by("h", "n").alias("top"))
     stars = members.join(most, "band").select("h", F.explode(F.array("low", "top")).alias("o")).filter("h != o")
     pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.filter("k = 2").select(F.col("low").alias("a"), F.col("high").alias("b")))
     pairs = cut(picked(pairs.distinct(), sig, minima, least))
-    links = cut(similar(pairs, texts_of(every, sig, pairs), chars, threshold))
+    links = cut(similar(pairs, texts_of(docs, id_col, text_col, sig, pairs), chars, threshold))
     more = cut(across_classes(members.select("band", "h", "sig"), links, minima, least).join(pairs, ["a", "b"], "left_anti"))
     if not more.isEmpty():
-        links = links.unionByName(similar(more, texts_of(every, sig, more), chars, threshold))
+        links = links.unionByName(similar(more, texts_of(docs, id_col, text_col, sig, more), chars, threshold))
     return components(links, "a", "b").select(F.col("node").alias("h"), F.col("component").alias("class"))
 
 

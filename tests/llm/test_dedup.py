@@ -218,7 +218,7 @@ def test_agreement_of_signatures(spark):
     rng = random.Random(3)
     for bands, width in ((9, 4), (1, 1), (2, 7)):
         text = [sentence(rng, 12) for _ in range(20)]
-        rows = spark.createDataFrame([(i, t, 0) for i, t in enumerate(text + [t[:-3] + "xyz" for t in text])], "h long, line string, at long")
+        rows = spark.createDataFrame([(i, t, 0) for i, t in enumerate(text + [t[:-3] + "xyz" for t in text])], "h long, line string, id long")
         n = bands * width
         sig = line_dedup.signatures(rows, bands=bands, width=width).select("h", "sig")
         a, b = sig.toDF("a", "x"), sig.toDF("b", "y")
@@ -324,7 +324,7 @@ def test_links_between_the_classes_of_a_band(spark, docs):
     line = {xxhash.xxh64_intdigest(t, 42): t for t in of}
     sets = {i: brute_shingles(t) for i, t in rows}
     bands = defaultdict(list)
-    for r in line_dedup.signatures(line_dedup.lines(df).withColumn("at", F.lit(0)), bands=1, width=1).collect():
+    for r in line_dedup.signatures(line_dedup.lines(df), bands=1, width=1).collect():
         if r.h % 2**64 in line:
             bands[r.bands[0]].append(of[line[r.h % 2**64]])
     links = [(a, b) for m in bands.values() for a in m for b in m if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
