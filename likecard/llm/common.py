@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 #: A word is a run of anything but ASCII white space (space, and tab to carriage return).
 WORD = r"[^\x20\x09-\x0D]+"
 
+#: Whether Spark drops a query's shuffle files when the query ends.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -18,12 +21,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def scratch_root(spark: SparkSession) -> str:
     """The folder all executors share: spark.checkpoint.dir, or the context's
-    checkpoint folder; only where neither is set (tests on one machine) a
-    temporary folder becomes the checkpoint folder."""
+    checkpoint folder. Where neither is set, a temporary folder serves if all
+    executors are threads of this process; else that is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         root = spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="likecard-"))
         root = spark.sparkContext.getCheckpointDir()
     return root.rstrip("/")
@@ -38,9 +43,13 @@ def cut(df: DataFrame) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/llm-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")  # the written table replaces the shuffle files behind it
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     jvm = spark.sparkContext._jvm
-    jvm.System.gc()  # lets Spark's cleaner drop the shuffle files that the written table replaces
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
