@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ...functions.patterns import matches
+from ..ranking import running_sum
 
 
 @dataclass(frozen=True)
@@ -33,16 +34,14 @@ class DbmsModel:
 
 
 def fit(strings: DataFrame, n_mcv: int = 100, n_hist: int = 100, floor_fraction: float = 1e-4) -> DbmsModel:
-    """Counts of values are exact. Histogram ranks add up over groups of equal
-    first characters, so no task sorts all records."""
+    """Counts of values are exact. Histogram ranks add up over ranges of values,
+    so no task sorts all records."""
     counts = strings.groupBy("s").agg(F.count("*").alias("w"))
     rows = counts.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
     top = mcv(counts, n_mcv).collect()
-    rest = counts.join(F.broadcast(strings.sparkSession.createDataFrame([(r.s,) for r in top], "s string")), "s", "left_anti").withColumn("g", F.substring("s", 1, 2))
+    rest = counts.join(F.broadcast(strings.sparkSession.createDataFrame([(r.s,) for r in top], "s string")), "s", "left_anti")
     left = rest.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
-    before = rest.groupBy("g").agg(F.sum("w").alias("n")).withColumn("before", F.coalesce(F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("g").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    cum = F.sum("w").over(Window.partitionBy("g").orderBy("s").rowsBetween(Window.unboundedPreceding, 0)) + F.col("before")
-    ranked = rest.join(F.broadcast(before.select("g", "before")), "g").withColumn("cum", cum)
+    ranked = running_sum(rest, ["s"], F.col("w"), "before").withColumn("cum", F.col("before") + F.col("w"))
     first, last = F.ceil((F.col("cum") - F.col("w")) * n_hist / max(1, left)), F.ceil(F.col("cum") * n_hist / max(1, left)) - 1
     edges = ranked.select("s", F.explode(F.when(last >= first, F.sequence(first, last))).alias("j")).filter((F.col("j") >= 0) & (F.col("j") <= n_hist)).orderBy("j").collect()
     return DbmsModel(rows, [(r.s, r.w / rows) for r in top], [r.s for r in edges], floor_fraction)

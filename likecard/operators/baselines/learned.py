@@ -19,6 +19,8 @@ def _shape(df: DataFrame) -> DataFrame:
     return df.withColumns({"f_len": F.length("lit").cast("double"), **{f"f_{k}": (F.col("kind") == k).cast("double") for k in "PSC"}})
 
 
+#: Families of which one model answers all kinds.
+JOINT = ("sample_bitmap_net", "sequence_net", "hybrid_frequent_gram")
 SHAPE = ["f_len", "f_P", "f_S", "f_C"]
 
 
@@ -104,6 +106,14 @@ class Regression:
     make: Callable
     model: object
     exact: DataFrame | None = field(default=None, repr=False)
+    extra_bytes: float = 0.0
+
+    @property
+    def bytes(self) -> float:
+        """Tree nodes at 20 bytes (or a double a coefficient), and what the features and the exact part hold."""
+        nodes = getattr(self.model, "totalNumNodes", None)
+        listed = self.exact.agg(F.coalesce(F.sum(F.octet_length("lit") + 9), F.lit(0))).first()[0] if self.exact is not None else 0
+        return (nodes * 20 if nodes is not None else 8 * self.model.numFeatures) + listed + self.extra_bytes
 
     def estimate(self, patterns: DataFrame) -> DataFrame:
         df, cols = self.make(patterns)
@@ -115,23 +125,27 @@ class Regression:
         return out.join(F.broadcast(short), ["kind", "lit"], "left").withColumn("est", F.coalesce(F.col("_n").cast("double"), "est")).select(*patterns.columns, "est")
 
 
-def train(rows: DataFrame, make: Callable, linear: bool = False, exact: DataFrame | None = None, iterations: int = 20, depth: int = 5) -> Regression:
+def train(rows: DataFrame, make: Callable, linear: bool = False, exact: DataFrame | None = None, iterations: int = 20, depth: int = 5, extra_bytes: float = 0.0) -> Regression:
     """rows: (kind, lit, true_n) of training patterns."""
     df, cols = make(rows)
     data = VectorAssembler(inputCols=cols, outputCol="features").transform(df).select("features", F.log(F.col("true_n").cast("double")).alias("label"))
     learner = LinearRegression(regParam=0.01) if linear else GBTRegressor(maxIter=iterations, maxDepth=depth, seed=42)
-    return Regression(make, learner.fit(data), exact)
+    return Regression(make, learner.fit(data), exact, extra_bytes)
 
 
-def families(rows: DataFrame, strings: DataFrame, short: DataFrame, sample_size: int = 200) -> dict[str, Callable[[], Regression]]:
-    """Trainers by name. short: (kind, lit, n) of literals up to two characters."""
+def families(rows: DataFrame, strings: DataFrame, short: DataFrame, sample_size: int = 200) -> dict[str, Callable[..., Regression]]:
+    """Trainers by name: those of JOINT take all rows (kind, lit, true_n), the
+    others those of a kind, if one is named. short: (kind, lit, n) of literals up
+    to two characters."""
     sample = [r.s for r in strings.orderBy(digest("smp|", F.col("sid")), "sid").limit(sample_size).collect()]
     singles = {r.lit: float(r.p) for r in short.filter("kind = 'C' and length(lit) = 1").select("lit", F.log(F.col("n") / F.max("n").over(Window.partitionBy("kind"))).alias("p")).collect()} or {"": 0.0}
+    of = lambda kind: rows if kind is None else rows.filter(F.col("kind") == kind)
+    held = float(sum(len((s or "").encode()) for s in sample))
     return {
-        "sample_bitmap_net": lambda: train(rows, bitmap_features(sample)),
-        "embedding_net": lambda: train(rows, embedding_features(rows)),
-        "embedding_net_lm": lambda: train(rows, language_features(strings)),
+        "sample_bitmap_net": lambda: train(rows, bitmap_features(sample), extra_bytes=held),
+        "embedding_net": lambda kind=None: train(of(kind), embedding_features(of(kind)), extra_bytes=4.0 * 16 * len(singles) ** 1.5),
+        "embedding_net_lm": lambda kind=None: train(of(kind), language_features(strings), extra_bytes=10.0 * len(singles) ** 1.5),
         "sequence_net": lambda: train(rows, sequence_features()),
-        "hybrid_frequent_gram": lambda: train(rows, gram_features(singles), exact=short.filter("n >= 10")),
-        "flat_regression": lambda: train(rows, gram_features(singles), linear=True),
+        "hybrid_frequent_gram": lambda: train(rows, gram_features(singles), exact=short.filter("n >= 10"), extra_bytes=10.0 * len(singles)),
+        "flat_regression": lambda kind=None: train(of(kind), gram_features(singles), linear=True, extra_bytes=10.0 * len(singles)),
     }

@@ -8,7 +8,7 @@ from math import ceil, log
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import FAMILIES, portable_py
+from ..functions.hashing import FAMILIES, LOCAL
 
 #: Words that may come to the driver and into expressions (32 MB of bits).
 MAX_WORDS = 4_000_000
@@ -27,8 +27,8 @@ class Filter:
     words: tuple = field(default=(), repr=False)
 
     def has(self, key: str) -> bool:
-        """The probe in plain Python (portable family)."""
-        a, b = portable_py(self.salt, key)
+        """The probe in plain Python."""
+        a, b = LOCAL[self.family](self.salt, key)
         step = b % self.n_bits
         for j in range(self.n_hashes):
             p = (a + j * step) % self.n_bits
@@ -75,11 +75,14 @@ def gather(table: DataFrame, filters: dict[int, Filter]) -> dict[int, Filter]:
     from dataclasses import replace
 
     if sum(-(-f.n_bits // 64) for f in filters.values()) > MAX_WORDS:
-        raise ValueError("filters too large for the driver; probe them as a table")
-    words = {t: [0] * -(-f.n_bits // 64) for t, f in filters.items()}
-    for r in table.toLocalIterator():
-        words[r.tier][r.word_idx] = r.word
-    return {t: replace(f, words=tuple(words[t])) for t, f in filters.items()}
+        raise ValueError("filters too large for the driver; fit with by_join")
+    import numpy as np
+
+    words = {t: np.zeros(-(-f.n_bits // 64), np.int64) for t, f in filters.items()}
+    tier, at, word = (c.to_numpy() for c in table.select("tier", "word_idx", "word").toArrow().columns)
+    for t, w in words.items():
+        w[at[tier == t]] = word[tier == t]
+    return {t: replace(f, words=tuple(words[t].tolist())) for t, f in filters.items()}
 
 
 def probe_by_join(keys: DataFrame, table: DataFrame, filters: dict[int, Filter]) -> DataFrame:

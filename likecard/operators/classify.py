@@ -7,16 +7,18 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .layers import TierFilter
+from ..sources.scratch import cut
+from .layers import TableModel, TierFilter
 from .tree import PackedTree
 
 
 @dataclass(frozen=True)
 class KindModel:
-    """The structures of one kind: filters by tier, perhaps a tree above them."""
+    """The structures of one kind: filters by tier, perhaps a tree above them.
+    Filters of any size may be a TableModel, for batches only."""
 
     kind: str
-    filters: dict[int, TierFilter] = field(repr=False)
+    filters: dict[int, TierFilter] | TableModel = field(repr=False)
     tree: PackedTree | None = None
     tree_keys: dict[str, int] = field(default_factory=dict, repr=False)
     frontier: bool = True
@@ -48,6 +50,13 @@ def direct_col(key: Column, model: KindModel) -> Column:
 
 def direct(patterns: DataFrame, model: KindModel) -> DataFrame:
     """patterns (key, ...) with tier. The tree, where there is one, is asked first."""
+    if isinstance(model.filters, TableModel):
+        found = model.filters.tiers(patterns.select("key").distinct()).withColumnRenamed("tier", "_tier")
+        out = patterns.join(found, "key").withColumnRenamed("_tier", "tier").withColumn("tier", F.col("tier").cast("int"))
+        if not model.tree_keys:
+            return out.select(*patterns.columns, "tier")
+        high = patterns.sparkSession.createDataFrame(list(model.tree_keys.items()), "key string, tree_tier int")
+        return out.join(high, "key", "left").select(*patterns.columns, F.coalesce("tree_tier", "tier").alias("tier"))
     if not model.tree_keys:
         return patterns.withColumn("tier", direct_col(F.col("key"), model))
     spark = patterns.sparkSession
@@ -75,13 +84,13 @@ def walk(patterns: DataFrame, model: KindModel, rule: str = "monotone") -> DataF
     """
     chain = patterns.select("pid", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("key")), lambda i: F.substring(F.col("key"), 1, i))).alias("at", "key"))
     known = direct(chain.select("key").distinct(), model)
-    own = chain.join(known, "key").groupBy("pid").agg(F.sort_array(F.collect_list(F.struct("at", "tier"))).alias("c"))
-    tiers = F.transform("c", lambda x: x.tier)
-    one = F.exists(tiers, lambda t: t == 1)
     if rule == "monotone":
-        pairs = F.zip_with(F.slice(tiers, 1, F.size(tiers) - 1), F.slice(tiers, 2, F.size(tiers)), lambda a, b: a < b)
-        found = F.when(one, 1).when((F.size(tiers) > 1) & F.exists(pairs, lambda x: x), 1).otherwise(F.element_at(tiers, -1))
+        known = cut(known)
+        up = known.select(F.col("key").alias("_up"), F.col("tier").alias("_above"))
+        known = known.join(up, F.expr("left(key, length(key) - 1)") == F.col("_up"), "left")
+        known = known.select("key", "tier", ((F.col("tier") == 1) | (F.coalesce("_above", "tier") < F.col("tier"))).alias("settled"))
+        found = F.when(F.max("settled"), 1).otherwise(F.max_by("tier", "at"))
     else:
-        found = F.when(one, 1).otherwise(F.array_min(tiers))
-    own = own.select("pid", found.alias("tier"))
+        found = F.min("tier")
+    own = chain.join(known, "key").groupBy("pid").agg(found.alias("tier"))
     return patterns.join(own, "pid", "left").withColumn("tier", F.coalesce("tier", F.lit(1)))

@@ -24,7 +24,8 @@ from .layers import TierFilter, TierPlan
 @dataclass(frozen=True)
 class EstimatorConfig:
     """The two user parameters, bound and empty_conf, and how to meet them.
-    plan fixes layers and rates instead of tuning them."""
+    plan fixes layers and rates instead of tuning them. by_join keeps filters of
+    any size as tables; such models answer batches and are not saved or served."""
 
     bound: str = "1.5"
     max_len: int = 10
@@ -37,8 +38,9 @@ class EstimatorConfig:
     rule: str = "monotone"
     per_tier: bool = False
     clamp: bool = False
-    family: str = "portable"
+    family: str = "fast"
     plan: TierPlan | None = None
+    by_join: bool = False
 
 
 @dataclass
@@ -168,8 +170,8 @@ def fit_catalog(catalog: DataFrame, kind: str, config: EstimatorConfig = Estimat
     if plan.threshold is not None:
         table = cut(tree.nodes(tiered, top))
         packed = tree.pack(table)
-        keys = {r.key: r.tier for r in table.select("key", "tier").toLocalIterator()}
-    filters = layers.build(kept.filter(F.col("tier") <= top), kind, plan.tiers or TierPlan(), top, config.family)
+        keys = {r.key: r.tier for r in table.select("key", "tier").collect()}  # pack() has checked their number
+    filters = layers.build(kept.filter(F.col("tier") <= top), kind, plan.tiers or TierPlan(), top, config.family, by_join=config.by_join)
     return scheme, KindModel(kind, filters, packed, keys, config.frontier), plan
 
 

@@ -15,23 +15,26 @@ def count_by_catalog(patterns: DataFrame, catalog: DataFrame) -> DataFrame:
 def count_patterns(strings: DataFrame, patterns: DataFrame, max_len: int = 10) -> DataFrame:
     """patterns (pid, kind, lit) with true_n, for literals of any length.
 
-    A literal and a record meet on the literal's first characters: records are
-    exploded into their windows of one width per kind (the shortest literal's
-    length, max_len at most), joined by equality, and only then compared whole.
+    A literal and a record meet on the literal's first characters, max_len at
+    most (its last, for suffixes): records are exploded into their windows of
+    the widths that occur, joined by equality, and only then compared whole. So
+    a short literal does not widen the join of a long one.
     Kinds and empty literals: an empty literal matches every record.
     """
     rows = strings.filter("s is not null").groupBy("s").agg(F.count("*").alias("w"))
     total = rows.agg(F.coalesce(F.sum("w"), F.lit(0)).alias("all"))
-    least = {r.kind: min(r.n, max_len) for r in patterns.filter("lit != ''").groupBy("kind").agg(F.min(F.length("lit")).alias("n")).collect()}
+    width = F.least(F.length("lit"), F.lit(max_len))
+    widths = {r.kind: sorted(r.w) for r in patterns.filter("lit != ''").groupBy("kind").agg(F.collect_set(width).alias("w")).collect()}
     parts = []
-    for kind, width in least.items():
+    for kind, some in widths.items():
         own = patterns.filter((F.col("kind") == kind) & (F.col("lit") != ""))
+        fitting = F.filter(F.array(*map(F.lit, some)), lambda w: w <= F.length("s"))
         if kind == "C":
-            spots = F.array_distinct(F.transform(F.sequence(F.lit(1), F.length("s") - width + 1), lambda i: F.substring(F.col("s"), i, width)))
-            keyed = rows.filter(F.length("s") >= width).select("s", "w", F.explode(spots).alias("k"))
+            spots = F.array_distinct(F.flatten(F.transform(fitting, lambda w: F.transform(F.sequence(F.lit(1), F.length("s") - w + 1), lambda i: F.col("s").substr(i, w)))))
         else:
-            keyed = rows.filter(F.length("s") >= width).select("s", "w", (F.expr(f"left(s, {width})") if kind == "P" else F.expr(f"right(s, {width})")).alias("k"))
-        k = F.expr(f"right(lit, {width})") if kind == "S" else F.expr(f"left(lit, {width})")
+            spots = F.transform(fitting, lambda w: F.col("s").substr(F.lit(1), w) if kind == "P" else F.col("s").substr(F.length("s") - w + 1, w))
+        keyed = rows.select("s", "w", F.explode(spots).alias("k"))
+        k = F.expr(f"right(lit, {max_len})") if kind == "S" else F.expr(f"left(lit, {max_len})")
         fits = {"P": F.col("s").startswith(F.col("lit")), "S": F.col("s").endswith(F.col("lit")), "C": F.col("s").contains(F.col("lit"))}[kind]
         parts.append(keyed.join(own.withColumn("k", k), "k").filter(fits).groupBy("pid").agg(F.sum("w").alias("true_n")))
     out = patterns

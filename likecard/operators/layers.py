@@ -4,6 +4,7 @@ in turn, the last layer exact."""
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -29,6 +30,41 @@ class TierPlan:
         return TierPlan(layers, (fpr,) * (layers - 1))
 
 
+@dataclass(frozen=True)
+class TableModel:
+    """The filters of all tiers as tables that nobody gathers: words (tier, layer,
+    word_idx, word), the keys of the last layers (tier, key), and per tier the
+    sizes of the Bloom layers and the number of layers."""
+
+    blooms: dict[int, tuple[Filter, ...]]
+    layers: dict[int, int]
+    words: DataFrame = field(repr=False)
+    listed: DataFrame = field(repr=False)
+
+    def tiers(self, keys: DataFrame) -> DataFrame:
+        """keys (key), each once, with tier: the first that accepts, else 1. All
+        tiers are asked together, a join with the words a layer; keys that a
+        layer settles go no further."""
+        spark = keys.sparkSession
+        if not self.layers:
+            return keys.withColumn("tier", F.lit(1))
+        live = keys.select(F.explode(F.array(*map(F.lit, sorted(self.layers)))).alias("tier"), "key")
+        yes = spark.createDataFrame([], "tier int, key string")
+        for j in range(1, max(self.layers.values())):
+            now = {t: b[j - 1] for t, b in self.blooms.items() if len(b) >= j}
+            asked = live.filter(F.col("tier").isin(*now))
+            passed = cut(bloom.probe_by_join(asked, self.words.filter(F.col("layer") == j).drop("layer"), now))
+            missed = asked.join(passed, ["tier", "key"], "left_anti")
+            done = live.filter(~F.col("tier").isin(*now))
+            yes = yes.unionByName(missed) if j % 2 == 0 else yes
+            live = cut(passed.unionByName(done))
+        odd = F.col("tier").isin(*[t for t, m in self.layers.items() if m % 2])
+        hit = live.join(self.listed.withColumn("_in", F.lit(True)), ["tier", "key"], "left")
+        yes = yes.unionByName(hit.filter(F.coalesce("_in", F.lit(False)) == odd).select("tier", "key"))
+        first = yes.groupBy("key").agg(F.min("tier").alias("tier"))
+        return keys.join(first, "key", "left").withColumn("tier", F.coalesce("tier", F.lit(1)))
+
+
 @dataclass(frozen=True)
 class TierFilter:
     tier: int
@@ -69,15 +105,16 @@ def negatives(catalog: DataFrame, top: int) -> DataFrame:
     return catalog.select(F.explode(asked).alias("tier"), "key") if top >= 2 else catalog.select("tier", "key").limit(0)
 
 
-def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan, top: int, family: str = "portable", skip_first: bool = True, seed: str = "", by_join: bool = False) -> dict[int, TierFilter]:
+def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan, top: int, family: str = "portable", skip_first: bool = True, seed: str = "", by_join: bool = False, only: list[int] | None = None) -> dict[int, TierFilter] | TableModel:
     """Filters of tiers 2 to top over catalog (key, tier): all tiers advance
     together, one job or two a layer, whatever their number.
 
     Layer 1 holds a tier's members; layer 2 the others that layer 1 lets pass;
     layer 3 the members that layer 2 holds, and so on; the last layer lists what
     is left. A tier stops early when nothing is left. skip_first=False also
-    filters tier 1, the naive form, for comparison. by_join probes with the
-    word tables instead of gathered words while building.
+    filters tier 1, the naive form, for comparison. by_join gathers nothing: word
+    tables are probed by joins, and the outcome is a TableModel. only builds
+    the filters of some tiers, as after changes that made those stale.
     """
     low = 2 if skip_first else 1
     plan_of = (lambda t: plans) if isinstance(plans, TierPlan) else (lambda t: plans.get(t, TierPlan()))
@@ -85,10 +122,12 @@ def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan,
     others = negatives(catalog, top)
     if not skip_first:
         others = others.unionByName(catalog.filter("tier > 1").select(F.lit(1).alias("tier"), "key"))
+    if only is not None:
+        members, others = (x.filter(F.col("tier").isin(*only)) for x in (members, others))
     sides = [cut(members), others]
     size = {r.tier: r["count"] for r in sides[0].groupBy("tier").count().collect()}
     tiers, blooms, survivors = sorted(size), {t: [] for t in size}, {t: [size[t]] for t in size}
-    depth = max((plan_of(t).layers for t in tiers), default=1)
+    depth, tables = max((plan_of(t).layers for t in tiers), default=1), []
     for j in range(1, depth):
         own, against = (j + 1) % 2, j % 2
         now = {}
@@ -100,7 +139,8 @@ def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan,
         if not now:
             break
         table = cut(bloom.word_table(sides[own], now))
-        ready = bloom.gather(table, now)
+        ready = now if by_join else bloom.gather(table, now)
+        tables.append(table.withColumn("layer", F.lit(j)))
         rest = sides[against].filter(F.col("tier").isin(*now))
         if by_join:
             passed = bloom.probe_by_join(rest, table, now)
@@ -115,6 +155,11 @@ def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan,
             blooms[t].append(ready[t])
             survivors[t].append(size.get(t, 0))
     out = {}
+    if by_join:
+        words = reduce(DataFrame.unionByName, tables) if tables else catalog.sparkSession.createDataFrame([], "tier int, word_idx int, word long, layer int")
+        odd = F.col("tier").isin(*[t for t in tiers if len(blooms[t]) % 2 == 0])
+        listed = sides[0].filter(odd).unionByName(sides[1].filter(F.col("tier").isin(*tiers) & ~odd))
+        return TableModel({t: tuple(blooms[t]) for t in tiers}, {t: len(blooms[t]) + 1 for t in tiers}, words, cut(listed))
     for t in tiers:
         m = len(blooms[t]) + 1
         left = sides[(m + 1) % 2].filter(F.col("tier") == t)
@@ -129,6 +174,6 @@ def build(catalog: DataFrame, kind: str, plans: dict[int, TierPlan] | TierPlan,
         rows = frames[0]
         for more in frames[1:]:
             rows = rows.unionByName(more)
-        for r in rows.toLocalIterator():
+        for r in rows.collect():  # MAX_LISTED a tier at most
             listed[r.tier].append(r.key)
     return {t: TierFilter(t, out[t][0], tuple(blooms[t]), frozenset(listed[t]), tuple(survivors[t])) for t in tiers}

@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
+from ..functions.patterns import _shape
 from .estimator import Estimator
 from .serve import LocalModel
 
@@ -29,7 +30,9 @@ def register(spark: SparkSession, estimator: Estimator, prefix: str = "like") ->
             yield batch.map(lambda p: local.estimate(p) if p is not None else None).astype("float64")
 
     spark.udf.register(f"{prefix}_estimate", estimate)
-    spark.sql(f"create or replace temporary function {prefix}_kind(p string) returns string return case when p is null or p rlike '_' or p not rlike '^%?[^%]+%?$' then 'O' when p like '\\%%\\%' then 'C' when p like '%\\%' then 'P' when p like '\\%%' then 'S' else 'O' end")
+    shape = _shape("\\").replace("\\", "\\\\")  # a string literal of SQL, where a backslash stands for two
+    ends = f"concat(regexp_extract(p, '{shape}', 1), '|', regexp_extract(p, '{shape}', 3))"
+    spark.sql(f"create or replace temporary function {prefix}_kind(p string) returns string return case when p is null or p not rlike '{shape}' then 'O' else case {ends} when '|%' then 'P' when '%|' then 'S' when '%|%' then 'C' else 'O' end end")
     spark.udtf.register(f"{prefix}_enumerate", enumerate_literals())
 
 

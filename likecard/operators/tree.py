@@ -8,6 +8,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .ranking import running_sum
+
 MAX_NODES = 4_000_000
 
 
@@ -15,12 +17,10 @@ def nodes(catalog: DataFrame, threshold: int) -> DataFrame:
     """(node_id, parent_id, key, ch, tier, first_child, is_last), numbered by
     length, then key: children of a node are consecutive. Every prefix of a key
     over the threshold is over it too, so the keys are the nodes. Numbers count
-    within a length and add up over lengths."""
+    within ranges of keys and add up over ranges."""
     top = catalog.filter(F.col("tier") > threshold).select("key", "len", "tier")
-    sizes = top.groupBy("len").count()
-    before = sizes.select("len", F.coalesce(F.sum("count").over(Window.partitionBy(F.lit(0)).orderBy("len").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    own = top.withColumn("rank", F.row_number().over(Window.partitionBy("len").orderBy("key"))).join(F.broadcast(before), "len")
-    own = own.select("key", "len", "tier", (F.col("before") + F.col("rank") - 1).cast("int").alias("node_id"), F.expr("left(key, len - 1)").alias("up"))
+    own = running_sum(top, ["len", "key"], F.lit(1), "node_id")
+    own = own.select("key", "len", "tier", F.col("node_id").cast("int").alias("node_id"), F.expr("left(key, len - 1)").alias("up"))
     ids = own.select(F.col("key").alias("up"), F.col("node_id").alias("parent_id"))
     kids = own.groupBy(F.col("up").alias("key")).agg(F.min("node_id").alias("first_child"))
     last = F.lead("node_id").over(Window.partitionBy("up").orderBy("node_id")).isNull()

@@ -28,13 +28,13 @@ def top_per_tier(catalog: DataFrame, k: int = 3) -> DataFrame:
     return catalog.withColumn("rank", rank).filter(F.col("rank") <= k).select("kind", "tier", "key", "n", "rank")
 
 
-#: What each method answers and promises; measured axes are joined by report().
+#: What each method answers and promises; its measures come from a study.
 CAPABILITIES = [
-    ("tier_filters", "P,S,C", True, True), ("dbms_heuristic", "P,S,C", False, False), ("pruned_suffix_tree", "C", False, True),
-    ("ngram_signature", "C", False, True), ("sample_bitmap_net", "P,S,C", False, False), ("embedding_net", "P,S,C", False, False),
-    ("sequence_net", "P,S,C", False, False), ("hybrid_frequent_gram", "P,S,C", False, False), ("compact_text_index", "C", False, True),
+    ("tier_filters", "P,S,C", True), ("dbms_heuristic", "P,S,C", False), ("pruned_suffix_tree", "C", False),
+    ("ngram_signature", "C", False), ("sample_bitmap_net", "P,S,C", False), ("embedding_net", "P,S,C", False),
+    ("sequence_net", "P,S,C", False), ("hybrid_frequent_gram", "P,S,C", False), ("compact_text_index", "C", False),
 ]
 
 
 def capabilities(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(CAPABILITIES, "method string, kinds string, error_bound boolean, finds_empty boolean")
+    return spark.createDataFrame(CAPABILITIES, "method string, kinds string, error_bound boolean")

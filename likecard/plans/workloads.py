@@ -82,7 +82,23 @@ JOINS += [("j7", "conversations a join conversations b on a.conv_id = b.conv_id
 JOINS += [("j10", "lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join part on l_partkey = p_partkey", [("customer", "c_name", a), ("part", "p_name", b)], "sum(l_quantity)") for a, b in (("%9", "small%"), ("%11%", "%ring"))]
 
 
-def join_sql(spec: tuple, hints: str = "") -> str:
+def join_parts(spec: tuple) -> tuple[dict[str, str], list[str]]:
+    """({alias: table}, join conditions) of a join, in the order written."""
+    first, *rest = spec[1].split(" join ")
+    names, conditions = [first], []
+    for part in rest:
+        name, on = part.split(" on ", 1)
+        names.append(name)
+        conditions.append(on)
+    return {n.split()[-1]: n.split()[0] for n in names}, conditions
+
+
+def join_sql(spec: tuple, hints: str = "", order: list[str] | None = None) -> str:
+    """The text of a join. With an order (of aliases) tables are listed in it, from
+    which Catalyst joins left to right wherever a condition allows."""
     _, tables, filters, agg = spec
-    where = " and ".join(f"{t}.{c} like '{p.replace(chr(92), chr(92) * 2)}'" for t, c, p in filters)
-    return f"select {hints} cast({agg} as double) as v from {tables} where {where}"
+    where = [f"{t}.{c} like '{p.replace(chr(92), chr(92) * 2)}'" for t, c, p in filters]
+    if order is not None:
+        named, conditions = join_parts(spec)
+        tables, where = ", ".join(f"{named[a]} {a}" for a in order), conditions + where
+    return f"select {hints} cast({agg} as double) as v from {tables} where {' and '.join(where)}"

@@ -10,6 +10,10 @@ from .io import table
 SETS = ("doc_words", "doc_openers", "turn_openers", "doc_lines", "page_urls", "customer_names", "part_names", "event_props")
 
 
+#: Whole columns that join filters ask about: table, key and column.
+COLUMNS = {"part_types": ("part", "p_partkey", "p_type"), "supplier_names": ("supplier", "s_suppkey", "s_name"), "nation_names": ("nation", "n_nationkey", "n_name"), "doc_texts": ("documents", "doc_id", "text")}
+
+
 def _pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     flat = table(spark, sf_dir, "documents", "doc_id", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line"))
     flat = flat.select((F.col("doc_id") * 1_000_000 + F.col("pos")).alias("sid"), F.trim("line").alias("line"))
@@ -25,10 +29,12 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     elif name == "doc_words":
         found = table(spark, sf_dir, "documents", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), F.lit(0))).alias("s"))
         out = found.distinct().select(F.xxhash64("s").alias("sid"), "s")
+    elif name == "turn_texts":
+        out = table(spark, sf_dir, "conversations", (F.col("conv_id") * 1000 + F.col("turn")).alias("sid"), F.col("text").alias("s"))
     elif name == "turn_openers":
         out = table(spark, sf_dir, "conversations", (F.col("conv_id") * 1000 + F.col("turn")).alias("sid"), F.substring("text", 1, 30).alias("s"))
     else:
-        source, key, column = {"page_urls": ("pages", "page_id", "url"), "customer_names": ("customer", "c_custkey", "c_name"), "part_names": ("part", "p_partkey", "p_name"), "event_props": ("events", "event_id", "props")}[name]
+        source, key, column = {**COLUMNS, "page_urls": ("pages", "page_id", "url"), "customer_names": ("customer", "c_custkey", "c_name"), "part_names": ("part", "p_partkey", "p_name"), "event_props": ("events", "event_id", "props")}[name]
         out = table(spark, sf_dir, source, F.col(key).cast("long").alias("sid"), F.col(column).alias("s"))
     return out.filter("s is not null")
 

@@ -4,7 +4,7 @@ import pytest
 from helpers import brute_keys, rows, strings
 from pyspark.sql import functions as F
 
-from likecard.functions import tiers
+from likecard.functions import hashing, tiers
 from likecard.operators import bloom, catalog, classify, exact, frontier, layers, markov, tree
 from likecard.operators.estimator import Estimator, EstimatorConfig, fit
 from likecard.operators.layers import TierPlan
@@ -93,6 +93,38 @@ def test_like_texts(spark):
     assert abs(got[1] - 2**0.5) < 1e-9 and got[2] is None and got[3] is None
 
 
+@pytest.mark.parametrize("family", ["portable", "fast"])
+def test_hashes_agree_with_plain_python(spark, family):
+    keys = ["", "a", "é漢😀", "x" * 50]
+    a, b = hashing.FAMILIES[family]("P|2|1|", F.col("key"))
+    got = {r.key: (r.a, r.b) for r in spark.createDataFrame([(k,) for k in keys], "key string").select("key", a.alias("a"), b.alias("b")).collect()}
+    assert got == {k: hashing.LOCAL[family]("P|2|1|", k) for k in keys}
+
+
+@pytest.mark.parametrize("m", [2, 3, 4])
+def test_filters_as_tables_equal_gathered_ones(spark, monkeypatch, m):
+    """A fit by_join gathers nothing and answers as the gathered filters do,
+    patterns without matches included."""
+    config = dict(kinds=("P", "C"), max_len=4, plan=TierPlan.uniform(m, 0.3), tree=False)
+    records = random_set(20 + m, 200)
+    want = fit(strings(spark, records), EstimatorConfig(**config))
+    probe = [(i, k, lit) for i, (k, lit) in enumerate((k, lit) for k in "PC" for lit in ("a", "ab", "cab", "bbbb", "zz", "abcz", "abcabc", ""))]
+    df = spark.createDataFrame(probe, "pid long, kind string, lit string")
+    expected = rows(want.estimate(df), "pid", "est")
+    monkeypatch.setattr(bloom, "gather", None)
+    got = fit(strings(spark, records), EstimatorConfig(**config, by_join=True))
+    assert rows(got.estimate(df), "pid", "est") == expected
+
+
+@pytest.mark.parametrize("rule", ["min", "monotone"])
+def test_local_probes_walk_as_the_model_does(spark, rule):
+    e = fit(strings(spark, random_set(9, 400)), EstimatorConfig(max_len=5, rule=rule))
+    local, rng = LocalModel(e), random.Random(2)
+    for _ in range(300):
+        key = "".join(rng.choice("abcz") for _ in range(rng.randint(1, 5)))
+        assert all(local.probes[k].walk(key, rule) == e.models[k].walk(key, rule) for k in "PSC")
+
+
 def test_probe_by_join_equals_expression(spark):
     keys = spark.createDataFrame([(2, f"k{i}") for i in range(300)], "tier int, key string")
     bits, hashes = bloom.sized(300, 0.2)
@@ -117,7 +149,7 @@ def test_tree_packs_and_answers(spark):
 
 def test_exact_counts_of_any_length(spark):
     records = random_set(13) + [None, "", "abcabcabcabc"]
-    pats = [(i, k, lit) for i, (k, lit) in enumerate((k, lit) for k in "PSC" for lit in ("a", "bc", "abcabca", "zz", ""))]
+    pats = [(i, k, lit) for i, (k, lit) in enumerate((k, lit) for k in "PSC" for lit in ("a", "bc", "abcabca", "abcabcabcab", "zz", ""))]
     got = {r.pid: r.true_n for r in exact.count_patterns(strings(spark, records), spark.createDataFrame(pats, "pid long, kind string, lit string")).collect()}
     fits = {"P": str.startswith, "S": str.endswith, "C": str.__contains__}
     assert got == {i: sum(fits[k](s, lit) for s in records if s is not None) for i, k, lit in pats}
