@@ -15,10 +15,11 @@ from .components import components
 #: share one of 9 bands of 4 minima with probability 0.991.
 CHARS, THRESHOLD, BANDS, ROWS = 5, 0.8, 9, 4
 #: Shingles hashed in one row before minima are taken over rows; bytes of minima
-#: in a number; chance that a pair at the threshold is left out by its signatures.
-PACK, BYTES, MISS = 8, 7, 0.001
+#: in a number; chances that a pair at the threshold is left out by its signatures,
+#: with the ends of a band and with its other lines.
+PACK, BYTES, MISS, MISS_APART = 8, 7, 0.001, 0.02
 #: Lines of a band outside its largest class that meet the band in one task.
-TILE = 2048
+TILE = 1024
 
 
 def _points(line: Column) -> Column:
@@ -36,8 +37,9 @@ def _window(points: Column, at: Column, chars: int) -> Column:
 
 
 def shingle_set(line: Column, chars: int = CHARS) -> Column:
-    """The different hashes of all windows of `chars` characters of a line."""
-    every = lambda p: F.transform(F.sequence(F.lit(0), _last(p, chars)), lambda i: _window(p, i, chars))
+    """The different hashes (32 bits) of all windows of `chars` characters of a line."""
+    one = lambda p, i: F.hash(F.substring(p, 4 * i + 1, F.lit(4 * chars)))
+    every = lambda p: F.transform(F.sequence(F.lit(0), _last(p, chars)), lambda i: one(p, i))
     return F.array_distinct(let(_points(line), every))
 
 
@@ -105,12 +107,10 @@ def alike(sa: Column, sb: Column, threshold: float) -> Column:
     return F.when(low < threshold * high, False).otherwise(common >= threshold * (low + high - common))
 
 
-def similar(pairs: DataFrame, texts: DataFrame, chars: int, threshold: float) -> DataFrame:
-    """The pairs (a, b) whose lines have at least that Jaccard similarity. texts: (h, line)."""
-    a, b = (texts.select(F.col("h").alias(x), F.col("line").alias(f"l{x}")) for x in "ab")
-    both = pairs.join(a, "a").join(b, "b")
-    sets = F.array(shingle_set(F.col("la"), chars), shingle_set(F.col("lb"), chars))
-    return both.filter(let(sets, lambda s: alike(F.element_at(s, 1), F.element_at(s, 2), threshold))).select("a", "b")
+def similar(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """The pairs (a, b) whose lines have at least that Jaccard similarity. sets: (h, set)."""
+    a, b = (sets.select(F.col("h").alias(x), F.col("set").alias(f"s{x}")) for x in "ab")
+    return pairs.join(a, "a").join(b, "b").filter(alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b")
 
 
 def picked(pairs: DataFrame, sig: DataFrame, minima: int, least: int) -> DataFrame:
@@ -119,44 +119,51 @@ def picked(pairs: DataFrame, sig: DataFrame, minima: int, least: int) -> DataFra
     return pairs.join(a, "a").join(b, "b").filter(agree(F.col("sa"), F.col("sb"), minima) >= least).select("a", "b")
 
 
-def texts_of(docs: DataFrame, id_col: str, text_col: str, sig: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(h, line) of the lines in pairs, each read from the least id that has it,
-    so a hot line is one row, and other documents are not split."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()
-    wanted = cut(sig.select("h", "id").join(wanted, "h", "left_semi"))
+def sets_of(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame, chars: int) -> DataFrame:
+    """(h, set) of the lines wanted (h, id), each read from the least id that has
+    it, so a hot line is one row, and other documents are not split."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     some = rows.join(wanted.select("id").distinct(), "id", "left_semi")
-    return cut(lines(some, "id", "text").join(wanted, ["h", "id"], "left_semi").select("h", "line").dropDuplicates(["h"]))
+    rows = lines(some, "id", "text").join(wanted, ["h", "id"], "left_semi").select("h", "line").dropDuplicates(["h"])
+    return cut(rows.select("h", shingle_set(F.col("line"), chars).alias("set")))
 
 
-def across_classes(members: DataFrame, links: DataFrame, minima: int, least: int) -> DataFrame:
-    """Pairs (a, b) of lines of one band (members: band, h, sig) whose signatures
-    agree and that are in different classes by the links found so far. The lines
-    outside the class with the most lines of a band meet all lines of the band
-    but those of their own class; where they are many, in tiles."""
+def apart(members: DataFrame, links: DataFrame, minima: int, least: int) -> tuple[DataFrame, DataFrame]:
+    """(a, b): lines of bands (members: band, h, sig, bands) with several classes by
+    the links found so far. a holds those outside the class with the most lines
+    of the band, b all of them; they meet on (band, tile), a in one tile of the
+    band, b in each. Kept are lines that agree with one of another class."""
     of = components(links, "a", "b").select(F.col("node").alias("h"), "component")
-    named = cut(members.join(of, "h", "left").select("band", "h", "sig", F.coalesce("component", "h").alias("c")))
+    named = cut(members.join(of, "h", "left").select("band", "h", "sig", "bands", F.coalesce("component", "h").alias("c")))
     sizes = named.groupBy("band", "c").count().groupBy("band").agg(F.max_by("c", "count").alias("main"), (F.sum("count") - F.max("count")).alias("rest"))
     sizes = cut(sizes.filter("rest > 0").select("band", "main", F.ceil(F.col("rest") / TILE).cast("int").alias("tiles")))
-    named = named.join(sizes, "band")
-    a = cut(named.filter("c != main").select(F.struct("band", F.pmod(F.xxhash64("h"), F.col("tiles")).cast("int").alias("tile")).alias("x"), F.col("h").alias("a"), F.col("c").alias("ca"), F.col("sig").alias("sa")))
-    b = cut(named.select("band", "h", "c", "sig", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("tile")).select(F.struct("band", "tile").alias("y"), F.col("h").alias("b"), F.col("c").alias("cb"), F.col("sig").alias("sb")))
-    met = (F.col("x") == F.col("y")) & (F.col("ca") != F.col("cb")) & (agree(F.col("sa"), F.col("sb"), minima) >= least)
-    return a.join(b, met).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    named = named.join(sizes, "band").withColumn("home", F.pmod(F.xxhash64("h"), F.col("tiles")).cast("int"))
+    side = lambda rows, tile, x: rows.select(F.struct("band", tile.alias("tile")).alias(f"at_{x}"), F.col("h").alias(x), F.col("c").alias(f"c{x}"), F.col("sig").alias(f"g{x}"), F.col("bands").alias(f"i{x}"))
+    a = cut(side(named.filter("c != main"), F.col("home"), "a"))
+    b = cut(side(named.withColumn("tile", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))), F.col("tile"), "b"))
+    met = meeting(minima, least)
+    return cut(a.join(b, met, "left_semi")), cut(b.join(a, met, "left_semi"))
+
+
+def meeting(minima: int, least: int) -> Column:
+    """Whether two rows of `apart` are of one band and tile, of different classes,
+    agree, and share no band before this one."""
+    near = (F.col("at_a") == F.col("at_b")) & (F.col("ca") != F.col("cb")) & (agree(F.col("ga"), F.col("gb"), minima) >= least)
+    return near & (F.array_min(F.array_intersect("ia", "ib")) == F.col("at_a.band"))
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> DataFrame:
     """(h, class): the class of each different line that is linked to another.
 
     Lines that share a band are candidates. In a band all meet its most frequent
-    line and its least one; then lines of different classes meet (see
-    `across_classes`). So large bands of alike lines cost what they hold, and no
-    link within a band is lost. Pairs whose signatures agree in too few minima
-    to be at the threshold (but for a chance of MISS) go no further; the others
+    line and its least one; then lines of different classes meet (see `apart`),
+    verified inside the join, so that only links are rows. No link within a band
+    is lost, but for pairs whose signatures agree in too few minima to be at the
+    threshold: a chance of MISS there, of MISS_APART between classes. All others
     are verified on all windows of both lines. Bands with the same lines count once.
     """
     sig = cut(signatures(lines(docs, id_col, text_col), chars, bands, width))
-    minima, least = bands * width, least_agreement(bands * width, threshold)
+    minima, least, later = bands * width, *(least_agreement(bands * width, threshold, x) for x in (MISS, MISS_APART))
     flat = sig.select("h", F.explode("bands").alias("band"))
     ends = flat.groupBy("band").agg(F.min("h").alias("low"), F.max("h").alias("high"), F.count("*").alias("k"), F.bit_xor("h").alias("mix")).filter("low < high")
     ends = cut(ends.groupBy("low", "high", "k", "mix").agg(F.min("band").alias("band")))
@@ -166,11 +173,18 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cha
     stars = members.join(most, "band").select("h", F.explode(F.array("low", "top")).alias("o")).filter("h != o")
     pairs = stars.select(F.least("h", "o").alias("a"), F.greatest("h", "o").alias("b")).unionByName(ends.filter("k = 2").select(F.col("low").alias("a"), F.col("high").alias("b")))
     pairs = cut(picked(pairs.distinct(), sig, minima, least))
-    links = cut(similar(pairs, texts_of(docs, id_col, text_col, sig, pairs), chars, threshold))
-    more = cut(across_classes(members.select("band", "h", "sig"), links, minima, least).join(pairs, ["a", "b"], "left_anti"))
-    if not more.isEmpty():
-        links = links.unionByName(similar(more, texts_of(docs, id_col, text_col, sig, more), chars, threshold))
-    return components(links, "a", "b").select(F.col("node").alias("h"), F.col("component").alias("class"))
+    wanted = cut(sig.select("h", "id").join(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct(), "h", "left_semi"))
+    sets = sets_of(docs, id_col, text_col, wanted, chars)
+    links = cut(similar(pairs, sets, threshold))
+    own = members.groupBy("h").agg(F.collect_set("band").alias("bands"))
+    a, b = apart(members.select("band", "h", "sig").join(own, "h"), links, minima, later)
+    if not a.isEmpty():
+        more = a.select(F.col("a").alias("h")).union(b.select(F.col("b").alias("h"))).distinct().join(wanted, "h", "left_anti")
+        more = cut(sig.select("h", "id").join(more, "h", "left_semi"))
+        sets = sets.unionByName(sets_of(docs, id_col, text_col, more, chars))
+        a, b = a.join(sets.toDF("a", "sa"), "a"), b.join(sets.toDF("b", "sb"), "b")
+        links = links.unionByName(a.join(b, meeting(minima, later) & alike(F.col("sa"), F.col("sb"), threshold)).select("a", "b"))
+    return components(cut(links), "a", "b").select(F.col("node").alias("h"), F.col("component").alias("class"))
 
 
 def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars: int = CHARS, threshold: float = THRESHOLD, bands: int = BANDS, width: int = ROWS) -> tuple[DataFrame, DataFrame]:
