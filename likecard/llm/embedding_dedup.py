@@ -8,7 +8,10 @@ from pyspark.sql import functions as F
 from .common import balanced, cut
 from .components import components, forest
 
-THRESHOLD, TILE = 0.93, 512
+THRESHOLD, TILE = 0.93, 2048
+#: Leading principal coordinates that may cut a label into cells, and how many
+#: tiles of a label each of them should part.
+LEADING, FAN = 3, 8
 #: Leading dimensions after which residual products are bounded.
 STEPS = (6, 12, 24, 40)
 
@@ -93,6 +96,56 @@ def close_pairs(a, b, axes, threshold: float, steps=STEPS):
     return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (none, none)
 
 
+def located(unique: DataFrame, axes: dict, threshold: float) -> DataFrame:
+    """unique with d (dimension) and at, the cell of its unit vector on the
+    LEADING principal axes: cells are as wide as two vectors at the threshold can
+    be apart, so linked vectors lie in the same or in neighbouring cells."""
+    width = (2 - 2 * threshold) ** 0.5 + 1e-6
+    shared = unique.sparkSession.sparkContext.broadcast({d: m[:, :LEADING] for d, m in axes.items()})
+    label = unique.schema["label"].dataType.simpleString()
+
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        for batch in batches:
+            lists = batch.column(1)
+            flat, lengths = lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
+            ends, at = np.cumsum(lengths), np.zeros((len(lengths), LEADING), np.int32)
+            for d in np.unique(lengths):
+                pick = np.flatnonzero(lengths == d)
+                m = flat[(ends[pick] - d)[:, None] + np.arange(d)]
+                m = m / np.abs(m).max(1, keepdims=True)
+                y = (m / np.linalg.norm(m, axis=1, keepdims=True)) @ shared.value[int(d)]
+                at[pick, : y.shape[1]] = np.floor(y / width)
+            cells = pa.FixedSizeListArray.from_arrays(pa.array(at.ravel()), LEADING).cast(pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lengths.astype(np.int32)), cells], names=[*batch.schema.names, "d", "at"])
+
+    return unique.select("label", "v", "node", "copies").mapInArrow(run, f"label {label}, v array<double>, node long, copies long, d int, at array<int>")
+
+
+def tiled(rows: DataFrame, threshold: float, tile: int) -> tuple[DataFrame, DataFrame]:
+    """(rows with own, their tile; pairs (low, high) of tiles to compare). A label
+    of one tile is whole; larger ones are cut into cells by as many leading
+    coordinates as their size asks for, and cells into tiles by hash. Only tiles
+    of the same or neighbouring cells are paired."""
+    place = [f"c{i}" for i in range(LEADING)]
+    size = rows.groupBy("label", "d").agg(F.count("*").alias("n"))
+    rows = rows.join(F.broadcast(size) if size.count() < 100_000 else size, ["label", "d"])
+    rows = rows.select("*", *[F.when(F.col("n") > tile * FAN**i, F.col("at")[i]).otherwise(0).alias(c) for i, c in enumerate(place)])
+    key = ["label", "d", *place]
+    cells = cut(rows.groupBy(*key).agg(F.ceil(F.count("*") / tile).cast("int").alias("tiles")))
+    name = lambda t: F.xxhash64(*key, t)
+    rows = rows.join(cells, key).select("label", "d", "node", "copies", "v", name(F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int")).alias("own"))
+    every = cells.select(*key, F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("t")).withColumn("a", name(F.col("t")))
+    step = F.array(*[F.lit(i) for i in (-1, 0, 1)])
+    near = every.select("a", *[F.col(c).alias(f"_{c}") for c in key])
+    for c in place:
+        near = near.withColumn("_s", F.explode(step)).withColumn(f"_{c}", F.col(f"_{c}") + F.col("_s")).drop("_s")
+    met = near.join(every.select(*[F.col(c).alias(f"_{c}") for c in key], F.col("a").alias("b")), [f"_{c}" for c in key]).filter("a <= b")
+    return rows, cut(met.select(F.col("a").alias("low"), F.col("b").alias("high")).distinct())
+
+
 def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", threshold: float = THRESHOLD, tile: int = TILE) -> DataFrame:
     """One row per vector: id, n_links (other vectors with the same label and
     cosine >= threshold), component_id (smallest id reachable over links) and
@@ -101,21 +154,18 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     Vectors that are null, all zero, or hold null or non-finite components, and
     rows with a null label, link with nothing; so do vectors of different
     length. Equal vectors of a label meet once, with their number. Each label's
-    distinct vectors are dealt over tiles of about `tile` rows, and every two
-    tiles meet in a group of their own, whose task returns one count a vector
-    and a spanning forest of its links: never the pairs. Rows with a null id
-    come back with no links and a null component; an empty table gives no rows.
+    distinct vectors lie in tiles of about `tile` rows in the order of their
+    leading principal coordinates; tiles too far apart there never meet, every
+    two others meet in a group of their own, whose task returns one count a
+    vector and a spanning forest of its links: never the pairs. Rows with a null
+    id come back with no links and a null component; an empty table gives no rows.
     """
     usable = _usable(vectors, id_col, vector_col, label_col)
     unique = cut(usable.groupBy("label", "v").agg(F.min("id").alias("node"), F.count("*").alias("copies")))
     axes = principal_axes(unique)
-    size = unique.groupBy("label").agg(F.count("*").alias("n"))
-    tiles = F.ceil(F.col("n") / tile).cast("int")
-    dealt = unique.join(F.broadcast(size) if size.count() < 100_000 else size, "label").withColumn("tiles", tiles)
-    dealt = dealt.withColumn("own", F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int"))
-    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
-    group = F.xxhash64("label", F.least("own", "other"), F.greatest("own", "other"))
-    dealt = dealt.select(group.alias("group"), "label", "own", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "node", "copies", "v")
+    rows, pairs = tiled(cut(located(unique, axes, threshold)), threshold, tile)
+    own = pairs.select(F.explode(F.array_distinct(F.array("low", "high"))).alias("own"), "low", "high")
+    dealt = rows.join(own, "own").select(F.xxhash64("low", "high").alias("group"), "label", "own", "low", "high", "node", "copies", "v")
 
     def compare(pdf):
         import numpy as np
