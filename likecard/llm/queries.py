@@ -70,13 +70,15 @@ def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: its chunks, those that other documents hold too, the
     passages of about fifty words or more among them, their spans in UTF-8
-    bytes, and the documents that have them first."""
+    bytes, the documents that have them first, and the passages that the
+    document itself holds twice or more."""
     found = substring_dedup.repeats(table(spark, sf_dir, "documents"))
     total = lambda f: F.aggregate("passages", F.lit(0).cast("long"), lambda acc, p: acc + p[f])
     spans = F.array_join(F.transform("passages", lambda p: F.concat_ws(":", p["start"].cast("string"), p["end"].cast("string"))), ",")
     firsts = F.array_sort(F.array_distinct(F.flatten(F.transform("passages", lambda p: p["first_docs"]))))
     return found.select(
-        F.col("id").alias("doc_id"), "n_chunks", "n_repeated", F.size("passages").cast("long").alias("n_passages"), total("words").alias("repeat_words"), total("removed").alias("removed_words"), spans.alias("spans"), firsts.alias("first_docs"), (F.size("passages") > 0).alias("repeats")
+        F.col("id").alias("doc_id"), "n_chunks", "n_repeated", F.size("passages").cast("long").alias("n_passages"), total("words").alias("repeat_words"), total("removed").alias("removed_words"), spans.alias("spans"), firsts.alias("first_docs"), (F.size("passages") > 0).alias("repeats"),
+        F.size("within").cast("long").alias("n_within"), F.aggregate("within", F.lit(0).cast("long"), lambda acc, p: acc + p["removed"]).alias("within_removed_words"),
     )
 
 
