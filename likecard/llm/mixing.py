@@ -11,9 +11,18 @@ from .common import WORD, balanced, cut
 WEIGHTS, SHARE, MOST, LEAF, MAX_SOURCES = (5.0, 2.0, 1.0), 1.5, 2.0, 8192, 1_000_000
 
 
+def _text_hash(text_col: str):
+    return F.xxhash64(F.col(text_col).cast("string"))
+
+
 def sizes(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> DataFrame:
+    """(doc_id, source, size, text_hash, nth): a row per row of docs. Rows that are
+    equal in the others are told apart by nth, counted with partial sums, so
+    that ids which many rows share (null among them) spread over all leaves."""
     n = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), n.alias("size"))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), n.alias("size"), _text_hash(text_col).alias("text_hash"))
+    rows = rows.groupBy("doc_id", "source", "size", "text_hash").agg(F.count("*").alias("_n"))
+    return rows.select("doc_id", "source", "size", "text_hash", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_n"))).alias("nth"))
 
 
 def targets(totals: list[tuple], weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> list[float]:
@@ -88,7 +97,7 @@ def _rounder(seed: int):
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights=WEIGHTS, share: float = SHARE, most: float = MOST, leaf: int = LEAF, seed: int = 17) -> DataFrame:
     """One row per row of docs: doc_id, source, size, source_size, target (of
-    its source), copies (whole, 0 to `most`) and taken = copies * size.
+    its source), copies (whole, 0 to `most`), taken = copies * size, text_hash.
 
     Each document gets target / source_size copies in expectation: the whole
     part for certain, the fraction by pivotal rounding weighted by words, so a
@@ -107,9 +116,9 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     rows = sized.join(F.broadcast(by), sized.source.eqNullSafe(by.source)).select(sized["*"], "source_size", "target", "leaves")
     mean = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     base = F.when(F.col("size") > 0, F.floor(mean + 1e-12)).otherwise(0).cast("long")
-    rows = rows.withColumns({"base": base, "x": F.when(F.col("size") > 0, F.greatest(F.lit(0.0), mean - F.floor(mean + 1e-12))).otherwise(0.0), "tie": F.xxhash64("doc_id", F.lit(seed))})
-    rows = rows.withColumn("leaf", F.pmod(F.xxhash64("doc_id", F.lit(seed + 1)), F.col("leaves")).cast("int"))
-    columns = ["doc_id", "source", "size", "source_size", "target", "base", "x", "tie", "leaf", "leaves"]
+    rows = rows.withColumns({"base": base, "x": F.when(F.col("size") > 0, F.greatest(F.lit(0.0), mean - F.floor(mean + 1e-12))).otherwise(0.0), "tie": F.xxhash64("doc_id", "text_hash", "nth", F.lit(seed))})
+    rows = rows.withColumn("leaf", F.pmod(F.xxhash64("doc_id", "text_hash", "nth", F.lit(seed + 1)), F.col("leaves")).cast("int"))
+    columns = ["doc_id", "text_hash", "source", "size", "source_size", "target", "base", "x", "tie", "leaf", "leaves"]
     rows, done = rows.select(columns), []
     fractional = (F.col("x") > 1e-12) & (F.col("x") < 1 - 1e-12)
     done.append(rows.filter(~fractional))
@@ -118,7 +127,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     while most_leaves:
         out = cut(balanced(rows, "source", "leaf").groupBy("source", "leaf").applyInPandas(_rounder(seed + depth), rows.schema))
         if most_leaves == 1:
-            last = F.when(fractional & (F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed), "doc_id", "size")), 1, 8), 16, 10).cast("double") / 2.0**32 < F.col("x")), 1.0)
+            last = F.when(fractional & (F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed), "doc_id", "text_hash", "size")), 1, 8), 16, 10).cast("double") / 2.0**32 < F.col("x")), 1.0)
             done.append(out.withColumn("x", F.coalesce(last, F.when(fractional, 0.0), F.col("x"))))
             break
         done.append(out.filter(~fractional))
@@ -128,14 +137,15 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     for more in done[1:]:
         out = out.unionByName(more)
     copies = F.col("base") + F.round("x").cast("long")
-    return out.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    return out.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"), "text_hash")
 
 
 def materialise(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
     """docs with each row as many times as the mix takes it; all columns stay.
-    Ids are expected to be unique; rows that share one all follow the larger
-    number of copies that it got. Rows with a null id are left out."""
-    copies = mix(docs, id_col, text_col, source_col, **options).filter("copies > 0").groupBy("doc_id").agg(F.max("copies").alias("_copies"))
-    copies = copies.withColumnRenamed("doc_id", "_doc")
-    out = docs.join(copies, F.col(id_col).cast("long") == F.col("_doc")).withColumn("_copies", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))))
-    return out.drop("_doc", "_copies")
+    Rows are known by id (null is one) and text; those that share both, and the
+    source, all follow the largest number of copies that one of them got."""
+    copies = mix(docs, id_col, text_col, source_col, **options).filter("copies > 0").groupBy("doc_id", "source", "text_hash").agg(F.max("copies").alias("_copies"))
+    copies = copies.toDF("_doc", "_source", "_text", "_copies")
+    same = F.col(id_col).cast("long").eqNullSafe(F.col("_doc")) & F.col(source_col).cast("string").eqNullSafe(F.col("_source")) & (_text_hash(text_col) == F.col("_text"))
+    out = docs.join(copies, same).withColumn("_copies", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))))
+    return out.drop("_doc", "_source", "_text", "_copies")
