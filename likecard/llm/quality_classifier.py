@@ -65,7 +65,7 @@ def fit_hinge(rows: list, ratios, epochs: int = EPOCHS, cost: float = COST, blen
     w = np.zeros(size + 1)
     if not rows:
         return w
-    data = [(np.append(x, size), _scaled(x, ratios), 1.0 if y else -1.0) for x, y in rows]
+    data = [(np.append(x, size), _scaled(x, ratios), 1.0 if y else -1.0) for x, _, y in rows]
     ones = sum(s > 0 for _, _, s in data)
     top = {1.0: cost * len(data) / max(1, 2 * ones), -1.0: cost * len(data) / max(1, 2 * (len(data) - ones))}
     a, norm = np.zeros(len(data)), [float(v @ v) for _, v, _ in data]
@@ -109,8 +109,8 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", most: in
     w = fit_hinge([r for i, r in enumerate(rows) if i % 5] if len(rows) >= 50 else rows, ratios)
     if not rows:
         return ratios, w, 1.0, 0.0
-    margins = np.array([w[np.append(x, len(ratios))] @ _scaled(x, ratios) for x, _ in fifth])
-    return (ratios, w, *calibrate(margins, np.array([y for _, y in fifth], float)))
+    margins = np.array([w[np.append(x, len(ratios))] @ _scaled(x, ratios) for x, _, _ in fifth])
+    return (ratios, w, *calibrate(margins, np.array([y for _, _, y in fifth], float)))
 
 
 def _scores(model, texts, codes, make):

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from .common import is_held_out
 from .hashed import Codes, word_and_skip_grams
 
-BITS, MAX_TRAIN, EPOCHS = 20, 10_000, 6
+BITS, MAX_TRAIN, EPOCHS, MAX_FEATURES = 20, 10_000, 6, 8192
 #: The least log loss of twenty settings on a quarter of sf0.1's learnable labelled
 #: rows, trained on the other three; held-out rows took no part in this choice.
 ALPHA, BETA, L1, L2, LENGTH, BIAS = 3.0, 1.0, 5.0, 0.01, 10.0, 0.3
@@ -19,13 +19,32 @@ def weighted(buckets):
     """(bucket, value): 1 + log of the count, scaled to one length for all texts."""
     import numpy as np
 
-    at, n = np.unique(buckets, return_counts=True)
+    return scaled(*np.unique(buckets, return_counts=True))
+
+
+def scaled(at, n):
+    import numpy as np
+
     v = 1 + np.log(n)
     return at.astype(np.int32), v * (LENGTH / max(1e-12, float(np.sqrt((v * v).sum()))))
 
 
+def counted(buckets, most: int = MAX_FEATURES):
+    """Different buckets with their counts; of a text with more than `most`, those
+    first by a hash of the bucket."""
+    import numpy as np
+
+    at, n = np.unique(buckets, return_counts=True)
+    if len(at) > most:
+        h = at.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        keep = np.sort(np.argsort(h ^ (h >> np.uint64(31)), kind="stable")[:most])
+        at, n = at[keep], n[keep]
+    return at.astype(np.int32), n.astype(np.int32)
+
+
 def features(rows: DataFrame, make, columns: str):
-    """Feature buckets as int32 bytes, beside the label, of (text, y) rows."""
+    """Feature buckets and counts as int32 bytes, beside the label, of (text, y)
+    rows. MAX_FEATURES a text bound what a training row sends to the driver."""
 
     def run(batches):
         import numpy as np
@@ -33,45 +52,46 @@ def features(rows: DataFrame, make, columns: str):
 
         codes = Codes()
         for batch in batches:
-            found = [make(t.as_py() or "", codes).astype(np.int32).tobytes() for t in batch.column(0)]
+            found = [np.concatenate(counted(make(t.as_py() or "", codes))).tobytes() for t in batch.column(0)]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary()), batch.column(1)], names=["x", "y"])
 
     return rows.select("text", "y").mapInArrow(run, columns)
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label_col: str, most: int) -> DataFrame:
-    """(text, y, key) of labelled rows that may be learnt from; `most` of them at
+    """(text, y) of labelled documents that may be learnt from; `most` of them at
     most, the least by a hash of the id (the documented bound of the sample, and
-    so of what is broadcast)."""
+    so of what is broadcast). Of rows that share an id one text is taken."""
     y = labels.filter(F.col(label_col).isin(0, 1) & F.col("doc_id").isNotNull() & ~is_held_out(F.col("doc_id")))
     y = y.groupBy("doc_id").agg(F.max(label_col).cast("int").alias("y"))
     key = F.xxhash64(F.col("doc_id").cast("long"), F.lit(5))
     y = y.orderBy(key, "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(y), "doc_id").select("text", "y", key.alias("key"))
+    rows = docs.select("doc_id", "text").join(F.broadcast(y), "doc_id")
+    return rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("text", "y")
 
 
 def collect_sample(docs: DataFrame, labels: DataFrame, label_col: str, most: int, make) -> list:
-    """[(buckets, y)] of the bounded sample, in an order set by hashes alone."""
+    """[(buckets, counts, y)] of the bounded sample, in an order set by hashes alone."""
     import numpy as np
 
     got = features(training_rows(docs, labels, label_col, most), make, "x binary, y int").toLocalIterator()
-    rows = [(np.frombuffer(r.x, np.int32), r.y) for r in got]
+    rows = [(*np.frombuffer(r.x, np.int32).reshape(2, -1), r.y) for r in got]
     import xxhash
 
-    return sorted(rows, key=lambda r: (xxhash.xxh64_intdigest(r[0].tobytes()), r[1]))
+    return sorted(rows, key=lambda r: (xxhash.xxh64_intdigest(r[0].tobytes() + r[1].tobytes()), r[2]))
 
 
 def train(rows: list, bits: int = BITS, epochs: int = EPOCHS, alpha: float = ALPHA, beta: float = BETA, l1: float = L1, l2: float = L2):
     """(indices, weights, bias) of the nonzero coordinates after FTRL-proximal
-    passes over [(buckets, y)]: each coordinate has its own learning rate from
+    passes over [(buckets, counts, y)]: each coordinate has its own learning rate from
     its squared gradients, and stays zero until its sum passes l1."""
     import numpy as np
 
     size = 1 << bits
     z, n = np.zeros(size + 1), np.zeros(size + 1)
     data = []
-    for buckets, y in rows:
-        at, v = weighted(buckets)
+    for at, n_of, y in rows:
+        at, v = scaled(at, n_of)
         data.append((np.append(at, size).astype(np.int32), np.append(v, BIAS).astype(np.float32), y))
 
     def weights(at):
