@@ -1,5 +1,7 @@
+import re
 import zlib
-from collections import defaultdict
+from collections import Counter, defaultdict
+from fractions import Fraction
 
 import numpy as np
 import pytest
@@ -23,6 +25,39 @@ def many(docs):
     return [(i, " ".join(["w"] * int(rng.integers(0, 200))), names[int(rng.integers(0, 5))] if i % 3 else "a") for i in range(900)]
 
 
+def brute_targets(sizes):
+    """Targets by water-filling in exact fractions: sources by code point, null last."""
+    names = sorted(sizes, key=lambda s: (s is None, s or ""))
+    weight = {s: (5, 2, 1)[i % 3] for i, s in enumerate(names)}
+    left, free, out = Fraction(3, 2) * sum(sizes.values()), set(names), {}
+    while free:
+        share = {s: left * weight[s] / sum(weight[x] for x in free) for s in free}
+        full = {s for s in free if share[s] > 2 * sizes[s]}
+        out |= {s: Fraction(2 * sizes[s]) for s in full} if full else share
+        left, free = left - sum(2 * sizes[s] for s in full), (free - full if full else set())
+    return {s: float(x) for s, x in out.items()}
+
+
+def test_op3_against_brute_force(spark, sf, tmp_path):
+    """The query on the given documents and on rows that share ids, or have none."""
+    given = spark.read.parquet(f"{sf}/documents.parquet")
+    more = given.limit(40).withColumn("doc_id", F.lit(None).cast("long")).unionByName(given.limit(30).withColumn("doc_id", F.lit(5).cast("long")))
+    given.unionByName(more).unionByName(more).write.parquet(f"{tmp_path}/documents.parquet")
+    for d in (sf, str(tmp_path)):
+        text = [(r.doc_id, r.source, r.text) for r in spark.read.parquet(f"{d}/documents.parquet").collect()]
+        size = Counter()
+        for _, s, t in text:
+            size[s] += len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))
+        want, got = brute_targets(size), queries.op3_mixing(spark, d).collect()
+        ids = lambda rows: Counter((i, n) for i, n in rows)
+        assert ids((r.doc_id, r.size) for r in got) == ids((i, len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))) for i, _, t in text)
+        taken = Counter()
+        for r in got:
+            taken[r.source] += r.taken
+            assert r.source_size == size[r.source] and r.target == pytest.approx(want[r.source]) and 0 <= r.taken <= 2 * r.size
+        assert all(abs(taken[s] - want[s]) <= max(r.size for r in got if r.source == s) for s in want)
+
+
 @pytest.mark.parametrize("leaf", [16, 8192])
 def test_mix(spark, docs, many, leaf):
     out = mixing.mix(docs(many).withColumn("size", F.lit("clash")).withColumn("x", F.lit(0)), leaf=leaf).collect()
@@ -163,7 +198,41 @@ def test_pipeline_keeps_good_documents(spark, sf):
 
 
 def test_pipeline_on_hard_rows(spark, docs, sf):
-    df = docs(HARD)
-    for _, stage in corpus_pipeline.STAGES:
+    """A long good text, its exact copy and a near copy, among the hard rows."""
+    rng = np.random.default_rng(8)
+    good = [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").join(spark.read.parquet(f"{sf}/labels.parquet").filter("quality = 1"), "doc_id").select("text").filter("length(text) > 600 and text not like '%\n%'").limit(3).collect()]
+    words = good[0].split(" ")
+    near = " ".join([*words[: len(words) // 2], "changed", *words[len(words) // 2 + 1 :]])
+    rows = HARD + [(100, good[0]), (101, good[0]), (102, near), (103, good[1])]
+    df = docs([rows[i] for i in rng.permutation(len(rows))])
+    for name, stage in corpus_pipeline.STAGES[:-1]:
         df = corpus_pipeline.cut(stage(spark, df, sf))
-    assert df.count() >= 0
+        kept = {r.doc_id: r.text for r in df.collect()}
+        if name == "quality_classifier":
+            assert {100, 101, 102, 103} <= set(kept)
+        if name == "line_dedup":
+            assert kept[100] == good[0] and kept[101] == kept[102] == "" and kept[103] == good[1]
+        if name == "simhash_near_dedup":
+            assert {100, 103} <= set(kept) and len([i for i, t in kept.items() if i is not None and not t]) <= 1
+    packed = corpus_pipeline.STAGES[-1][1](spark, df, sf).collect()
+    assert {r.doc_id for r in packed} == {r.doc_id for r in df.collect()} and all(0 < r.length <= 1024 for r in packed)
+
+
+@pytest.mark.parametrize("name", sorted(queries.queries()))
+def test_queries_on_hard_tables(spark, docs, tmp_path, name):
+    """Each query over tables of hard rows with more columns of its own names."""
+    df = docs(HARD + [(50 + i, f"word{i} " * 30) for i in range(20)])
+    for c in ("row", "id", "h", "pos", "line", "label", "node", "component", "bucket", "text_hash", "spans", "y", "x"):
+        df = df.withColumn(c, F.lit("clash"))
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    labels = [(i, i % 2, (i // 2) % 2) for i in range(50, 70)] + [(1, 1, 0), (None, 1, 1), (4, None, None), (999, 1, 1)]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").withColumn("text", F.lit("clash")).write.parquet(f"{tmp_path}/labels.parquet")
+    vectors = [(1, [1.0, 0.0], 0), (2, [1.0, 0.01], 0), (3, None, 0), (None, [1.0, 0.0], 0), (4, [], 1), (5, [1.0], None), (2, [1.0, 0.01], 0)]
+    spark.createDataFrame(vectors, "vec_id long, embedding array<float>, label int").withColumn("v", F.lit(0)).withColumn("n", F.lit(0)).write.parquet(f"{tmp_path}/embeddings.parquet")
+    out = queries.queries()[name](spark, str(tmp_path)).collect()
+    if name == "op7_packing":
+        assert len({r.doc_id for r in out}) == len({r.doc_id for r in df.select("doc_id").collect()})
+    else:
+        assert len(out) == (len(vectors) if name == "op1_embedding_dedup" else df.count())
+    if name in ("op4_toxicity", "op6_quality_classifier"):
+        assert all(0 <= r.score <= 1 for r in out)

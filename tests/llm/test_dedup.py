@@ -1,6 +1,6 @@
 import random
 import re
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
@@ -65,7 +65,7 @@ def brute_vectors(rows, threshold):
     return links
 
 
-@pytest.mark.parametrize("tile", [7, 512])
+@pytest.mark.parametrize("tile", [3, 7, 512])
 def test_embeddings(spark, tile):
     rng = np.random.default_rng(3)
     base = rng.normal(size=(12, 20))
@@ -83,6 +83,23 @@ def test_embeddings(spark, tile):
     assert all(r.n_links == degree[i] and r.component_id == want[i] and r.kept == (want[i] == i) for i, r in got.items())
 
 
+def test_far_tiles_never_meet(spark):
+    """Vectors around distant directions: most pairs of tiles are left out, no link is."""
+    rng = np.random.default_rng(4)
+    axis = np.eye(16)[rng.integers(0, 4, 400)] * rng.choice([-1.0, 1.0], 400)[:, None]
+    rows = [(i, v, 0) for i, v in enumerate((axis + rng.normal(size=(400, 16)) * 0.06).tolist())]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    unique = df.selectExpr("label", "embedding as v", "vec_id as node", "1L as copies")
+    axes = embedding_dedup.principal_axes(unique)
+    tiles, pairs = embedding_dedup.tiled(embedding_dedup.located(unique, axes, 0.93), 0.93, 10)
+    of = {r.node: r.own for r in tiles.collect()}
+    met = {(r.low, r.high) for r in pairs.collect()}
+    links = brute_vectors(rows, 0.93)
+    assert len(links) > 500 and all((min(of[a], of[b]), max(of[a], of[b])) in met for a, b in links)
+    n = len(set(of.values()))
+    assert len(met) < 0.5 * n * (n + 1) / 2
+
+
 def test_no_embeddings(spark):
     assert embedding_dedup.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
 
@@ -208,10 +225,10 @@ def brute_shingles(line, k=5):
 def test_shingles(spark, k):
     cases = ["one two three four five", "x", "averyverylongwordwithoutspaces again", "漢" * 40, "a\tb  c", "aaaaaaaaaaaaaaaaaa", "😀é" * 9]
     df = spark.createDataFrame([(c,) for c in cases], "line string").select("line", line_dedup.shingle_set(F.col("line"), k).alias("s"))
-    got = {r.line: set(r.s) for r in df.collect()}
-    for c in cases:
-        want = [xxhash.xxh64_intdigest(x.encode("utf-32-be"), 42) for x in brute_shingles(c, k)]
-        assert got[c] == {x - 2**64 if x >= 2**63 else x for x in want}
+    got = {r.line: r.s for r in df.collect()}
+    assert all(len(got[c]) == len(set(got[c])) == len(brute_shingles(c, k)) for c in cases)
+    first, second = (set(got[c]) for c in ("one two three four five", "averyverylongwordwithoutspaces again"))
+    assert len(first & second) == len(brute_shingles(cases[0], k) & brute_shingles(cases[2], k))
 
 
 def test_agreement_of_signatures(spark):
@@ -368,5 +385,33 @@ def test_passages(spark, docs):
     assert got[300].n_chunks == got[301].n_chunks == 0
 
 
+def test_passages_within_a_document_and_removal(spark, docs):
+    """Texts without repeats keep every passage once: brute force over windows of
+    sixty words, which no chunk edge can hide."""
+    rng = random.Random(12)
+    passage, own = sentence(rng, 90), sentence(rng, 80)
+    rows = [(i, f"{sentence(rng, 70)} {passage} {sentence(rng, 40)}") for i in range(5)] + [(20, f"{own} {sentence(rng, 60)} é漢 {own}"), (21, sentence(rng, 200)), (30, None), (31, "")]
+    df = docs(rows).withColumn("spans", F.lit(1)).withColumn("row", F.lit("x"))
+    got = {r.id: r for r in substring_dedup.repeats(df).collect()}
+    assert not got[20].passages and len(got[20].within) == 2 and got[20].within[1].removed > 50 and not got[21].within
+    out = {r.doc_id: r.text for r in substring_dedup.dedup(df).collect()}
+    assert set(out) == set(dict(rows)) and out[30] is None and out[31] == "" and out[0] == rows[0][1] and out[21] == dict(rows)[21]
+    seen = Counter()
+    for t in out.values():
+        w = (t or "").split()
+        seen.update(" ".join(w[i : i + 60]) for i in range(max(0, len(w) - 59)))
+    assert max(seen.values()) == 1 and "é漢" in out[20]
+    kept = " ".join(t or "" for t in out.values())
+    assert passage in kept and own in kept
+
+
+def test_cuts_keep_characters_whole():
+    data = "a漢b".encode()
+    assert substring_dedup.without(data, [{"start": 0, "end": 2}]) == "漢b".encode()
+    assert substring_dedup.without(data, [{"start": 2, "end": 5}]) == "a漢".encode()
+    assert substring_dedup.without(data, [{"start": 1, "end": 4}]) == b"ab"
+
+
 def test_hard_substrings(spark, docs):
+    assert substring_dedup.dedup(docs(HARD)).count() == len(HARD) and substring_dedup.dedup(docs([])).count() == 0
     assert substring_dedup.repeats(docs(HARD)).count() == len(HARD) and substring_dedup.repeats(docs([])).count() == 0

@@ -80,11 +80,20 @@ def test_no_labels(spark, docs):
         assert {r.score for r in score(df, model).collect()} == {0.5}
 
 
+def test_training_rows_are_bounded(spark, docs):
+    import numpy as np
+
+    at, n = toxicity.counted(np.array([7] * 5 + list(range(100, 200))), most=50)
+    assert len(at) == len(n) == 50 and set(at) <= {7, *range(100, 200)} and (np.diff(at) > 0).all()
+    rows = toxicity.training_rows(docs([(1, "x y z")] * 30 + [(2, "a"), (2, "b"), (3, None)]), labelled(spark, [(1, 1, 1), (2, 0, 0), (3, 1, 0)]), "toxic", 10)
+    assert rows.count() == 3
+
+
 def test_ftrl_is_sparse():
     import numpy as np
 
     rng = np.random.default_rng(2)
-    rows = [(np.append(rng.integers(0, 4000, 40), 5000 if y else 5001).astype(np.int32), y) for y in rng.integers(0, 2, 300).tolist()]
+    rows = [(*toxicity.counted(np.append(rng.integers(0, 4000, 40), 5000 if y else 5001)), y) for y in rng.integers(0, 2, 300).tolist()]
     at, w, _ = toxicity.train(rows, 13)
     weight = dict(zip(at.tolist(), w))
     assert len(at) < 2000 and weight[5000] > 0 > weight[5001]
@@ -93,10 +102,11 @@ def test_ftrl_is_sparse():
 def test_dual_coordinate_descent_meets_the_margins():
     import numpy as np
 
-    rows = [(np.array([0, 1], np.int32), 1), (np.array([0, 2], np.int32), 0)] * 10
+    one = np.ones(2, np.int32)
+    rows = [(np.array([0, 1], np.int32), one, 1), (np.array([0, 2], np.int32), one, 0)] * 10
     ratios = np.array([0.01, 2.0, -2.0])
     w = quality_classifier.fit_hinge(rows, ratios, epochs=200, cost=100.0, blend=0.0)
-    for x, y in rows[:2]:
+    for x, _, y in rows[:2]:
         margin = w[np.append(x, 3)] @ quality_classifier._scaled(x, ratios)
         assert abs(margin - (1 if y else -1)) < 0.05
 
