@@ -743,12 +743,10 @@ def _all_methods(spark, d, name: str) -> DataFrame:
     return _classical(spark, d, name)[0].unionByName(_trained(spark, d, name)[0])
 
 
-@query("accuracy_report")
-def accuracy_report(spark, d):
-    """Ratio errors of the methods without training, by set and kind: mean and
-    the four published quantiles."""
-    parts = [metrics.summary(study.with_error(_classical(spark, d, n)[0]).withColumn("name", F.lit(n)), "name", "kind", "method") for n in STUDY]
-    return functools.reduce(DataFrame.unionByName, parts)
+def _accuracy(spark, d, name: str) -> DataFrame:
+    """Ratio errors of the methods without training, by kind: mean and the four
+    published quantiles."""
+    return metrics.summary(study.with_error(_classical(spark, d, name)[0]).withColumn("name", F.lit(name)), "name", "kind", "method")
 
 
 def _accuracy_learned(spark, d, name: str) -> DataFrame:
@@ -756,6 +754,7 @@ def _accuracy_learned(spark, d, name: str) -> DataFrame:
 
 
 for _name in STUDY:
+    query(f"accuracy_{_name}")(lambda spark, d, n=_name: _accuracy(spark, d, n))
     query(f"accuracy_learned_{_name}")(lambda spark, d, n=_name: _accuracy_learned(spark, d, n))
 
 
@@ -778,27 +777,31 @@ def _under_two(est: DataFrame, name: str) -> DataFrame:
     return none.agg(F.count("*").alias("n"), F.round(F.avg((F.col("est") < 2).cast("double")), 6).alias("under_two")).select(F.lit(name).alias("name"), "method", "kind", "n", "under_two")
 
 
-@query("empty_methods")
-def empty_methods(spark, d):
-    """Share of empty patterns that each method estimates under 2, by set and kind."""
-    parts = [_under_two(_classical(spark, d, n)[0], n) for n in STUDY] + [_under_two(_trained(spark, d, "turn_openers")[0], "turn_openers")]
-    return functools.reduce(DataFrame.unionByName, parts)
+def _empty_methods(spark, d, name: str) -> DataFrame:
+    """Share of empty patterns that each method estimates under 2, by kind."""
+    return _under_two(_all_methods(spark, d, name), name)
+
+
+for _name in STUDY:
+    query(f"empty_methods_{_name}")(lambda spark, d, n=_name: _empty_methods(spark, d, n))
 
 
 @remembered
-def _costs(spark, d, name: str, learned_too: bool) -> list[tuple]:
-    rows = _classical(spark, d, name)[1] + (_trained(spark, d, name)[1] if learned_too else [])
+def _cost_rows(spark, d, name: str) -> list[tuple]:
+    rows = _classical(spark, d, name)[1] + _trained(spark, d, name)[1]
     local = LocalModel(estimator(spark, d, name, TUNED))
     probe = [(r.kind, r.lit) for r in _study_patterns(spark, d, name).filter("split = 'test'").select("kind", "lit").limit(1500).collect()]
     return [(name, *r, study.local_ms(local, probe) if r[0] == "tier_filters" else None) for r in rows]
 
 
-@query("costs")
-def costs(spark, d):
+def _costs(spark, d, name: str) -> DataFrame:
     """Preparation seconds, milliseconds a pattern in batches, bytes, and for our
-    method the milliseconds of the local path, kinds P, S and C; by method and set."""
-    rows = [r for n in STUDY for r in _costs(spark, d, n, n == "turn_openers")]
-    return spark.createDataFrame(rows, "name string, method string, preparation_s double, batch_ms double, bytes double, local_ms double")
+    method the milliseconds of the local path, kinds P, S and C; by method."""
+    return spark.createDataFrame(_cost_rows(spark, d, name), "name string, method string, preparation_s double, batch_ms double, bytes double, local_ms double")
+
+
+for _name in STUDY:
+    query(f"costs_{_name}")(lambda spark, d, n=_name: _costs(spark, d, n))
 
 
 @query("capabilities")
@@ -807,7 +810,7 @@ def capabilities(spark, d):
     est = _all_methods(spark, d, "turn_openers")
     e = study.with_error(est).groupBy("method").agg(F.avg("ratio_error").alias("accuracy"), F.percentile("ratio_error", F.lit(0.99)).alias("robustness"))
     none = est.filter("split = 'empty'").groupBy("method").agg(F.avg((F.col("est") < 2).cast("double")).alias("finds_empty"))
-    cost = spark.createDataFrame([r[1:5] for r in _costs(spark, d, "turn_openers", True)], "method string, preparation_s double, batch_ms double, bytes double")
+    cost = spark.createDataFrame([r[1:5] for r in _cost_rows(spark, d, "turn_openers")], "method string, preparation_s double, batch_ms double, bytes double")
     return profile.capabilities(spark).join(e, "method").join(none, "method", "left").join(cost, "method")
 
 

@@ -76,3 +76,35 @@ def test_constraint_is_met():
 
 def test_long_bound():
     assert theory.long_bound("1.5", 12, 10) == 1.5**5
+
+
+@pytest.mark.parametrize("conf", [None, 0.999])
+def test_tuner_against_a_grid(conf):
+    """No pair of layers and rate on a fine grid needs less than the tuned plan,
+    by sums written out layer by layer."""
+    from math import comb, log, sqrt
+
+    sizes, top = {1: 40_000, 2: 3000, 3: 700, 4: 250, 5: 90, 6: 60}, 6
+
+    def bits(m, f):
+        out = 0.0
+        for t in range(2, top + 1):
+            own, rest = sizes[t], sizes[1] + sum(n for u, n in sizes.items() if u > t)
+            for j in range(1, m):
+                out += -log(f) / log(2) ** 2 * (own if j % 2 else rest)
+                own, rest = (own, rest * f) if j % 2 else (own * f, rest)
+            out += (own if m % 2 else rest) * 80
+        return out
+
+    def allowed(m, f):
+        if conf is None:
+            return True
+        hit = sum(f ** (2 * k - 1) * (1 - f) for k in range(1, (m - 1) // 2 + 1)) + (f ** (m - 1) if m % 2 == 0 else 0)
+        q = (1 - hit) ** (top - 1)
+        return 1 - (1 - q) ** 2 * comb(top, 2) / (top - 1) ** 2 >= conf
+
+    grid = min(bits(m, f) for m in range(2, 9) for i in range(1, 4000) for f in (10 ** (-6 + 6 * i / 4000),) if allowed(m, f))
+    tuned = tuning.optimise(sizes, 10, empty_conf=conf)
+    plan = tuned.tiers[2]
+    assert tuned.bits <= grid * 1.001 and allowed(plan.layers, plan.fprs[0] * (1 - 1e-9))
+    assert tuned.bits == pytest.approx(bits(plan.layers, plan.fprs[0]), rel=1e-6)
