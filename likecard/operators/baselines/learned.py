@@ -133,7 +133,7 @@ def train(rows: DataFrame, make: Callable, linear: bool = False, exact: DataFram
     return Regression(make, learner.fit(data), exact, extra_bytes)
 
 
-def families(rows: DataFrame, strings: DataFrame, short: DataFrame, sample_size: int = 200) -> dict[str, Callable[..., Regression]]:
+def families(rows: DataFrame, strings: DataFrame, short: DataFrame, sample_size: int = 200, iterations: int = 20) -> dict[str, Callable[..., Regression]]:
     """Trainers by name: those of JOINT take all rows (kind, lit, true_n), the
     others those of a kind, if one is named. short: (kind, lit, n) of literals up
     to two characters."""
@@ -146,6 +146,6 @@ def families(rows: DataFrame, strings: DataFrame, short: DataFrame, sample_size:
         "embedding_net": lambda kind=None: train(of(kind), embedding_features(of(kind)), extra_bytes=4.0 * 16 * len(singles) ** 1.5),
         "embedding_net_lm": lambda kind=None: train(of(kind), language_features(strings), extra_bytes=10.0 * len(singles) ** 1.5),
         "sequence_net": lambda: train(rows, sequence_features()),
-        "hybrid_frequent_gram": lambda: train(rows, gram_features(singles), exact=short.filter("n >= 10"), extra_bytes=10.0 * len(singles)),
+        "hybrid_frequent_gram": lambda: train(rows, gram_features(singles), exact=short.filter("n >= 10"), iterations=iterations, extra_bytes=10.0 * len(singles)),
         "flat_regression": lambda kind=None: train(of(kind), gram_features(singles), linear=True, extra_bytes=10.0 * len(singles)),
     }

@@ -38,7 +38,7 @@ class TextIndex:
 
 def fit(strings: DataFrame, knots: int = 512) -> TextIndex:
     rows = strings.filter("s != ''")
-    suffixes = rows.select(F.explode(F.transform(F.sequence(F.lit(1), F.length("s")), lambda i: F.expr("s").substr(i, F.length("s")))).alias("x"))
+    suffixes = rows.select(F.explode(F.transform(F.sequence(F.lit(1), F.length("s")), lambda i: F.substring(F.col("s"), i, BYTES))).alias("x"))
     got = suffixes.agg(F.percentile_approx(code(F.col("x")), [i / (knots - 1) for i in range(knots)], 100_000).alias("k"), F.count("*").alias("n")).first()
     pairs = F.transform(F.sequence(F.lit(1), F.length("s") - 1), lambda i: F.substring(F.col("s"), i, 2))
     two = rows.filter(F.length("s") > 1).agg((F.sum(F.size(F.array_distinct(pairs))) / F.sum(F.size(pairs))).alias("r")).first()

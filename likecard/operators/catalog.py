@@ -28,12 +28,25 @@ def literals(s: Column, kind: str, max_len: int) -> Column:
     return F.array_distinct(F.flatten(F.transform(starts, lambda i: F.transform(F.sequence(F.lit(1), F.least(F.lit(max_len), F.length(s) - i + 1)), lambda j: F.substring(s, i, j)))))
 
 
+#: Characters of the pieces in which long records are enumerated.
+PIECE = 512
+
+
 def enumerate_keys(strings: DataFrame, kind: str, max_len: int = 10, dedupe_first: bool = True) -> DataFrame:
     """(key, len, n) of every literal up to max_len characters; n counts records,
     a record once however often it holds the literal. Counts are summed on the
-    map side, so keys that most records share cost a row a task."""
+    map side, so keys that most records share cost a row a task. Substrings of
+    long records are taken from pieces that overlap, so no place is sought from
+    the start of a long text, and counted once a record."""
     rows = dedupe(strings) if dedupe_first else strings.filter("s is not null").select("s", F.lit(1).alias("w"))
-    flat = rows.filter("s != ''").select(F.explode(literals(F.col("s"), kind, max_len)).alias("key"), "w")
+    rows = rows.filter("s != ''")
+    whole = rows.filter(F.length("s") <= PIECE) if kind == "C" else rows
+    flat = whole.select(F.explode(literals(F.col("s"), kind, max_len)).alias("key"), "w")
+    if kind == "C":
+        long = rows.filter(F.length("s") > PIECE).withColumn("r", F.monotonically_increasing_id() if not dedupe_first else F.xxhash64("s"))
+        starts = F.sequence(F.lit(1), F.length("s"), F.lit(PIECE))
+        pieces = long.select("r", "w", F.explode(F.transform(starts, lambda i: F.substring(F.col("s"), i, PIECE + max_len - 1))).alias("s"))
+        flat = flat.unionByName(pieces.select("r", "w", F.explode(literals(F.col("s"), kind, max_len)).alias("key")).distinct().select("key", "w"))
     return flat.groupBy("key").agg(F.sum("w").alias("n")).select("key", F.length("key").alias("len"), "n")
 
 

@@ -926,12 +926,20 @@ def _column_estimates(spark, d, column: tuple[str, str], method: str) -> dict[tu
         known = functools.reduce(DataFrame.unionByName, [t.select(F.lit(k).alias("kind"), patterns.canonical_key(k, F.col("key")).alias("lit"), F.col("n")) for k, t in every.items()])
         known = cut(known)
         train = known.orderBy(F.xxhash64("kind", "lit"), "lit").limit(study.TRAIN).withColumnRenamed("n", "true_n")
-        est = learned.families(train, s, known.filter("length(lit) <= 2"))[method]().estimate(rows)
+        est = learned.families(train, s, known.filter("length(lit) <= 2"), iterations=5)[method]().estimate(rows)
     else:
         est = text_index.fit(s).estimate(rows)
     return {(r.kind, r.lit): r.est for r in est.collect()}
 
 
+@remembered
+def _table_size(spark, d, name: str) -> tuple[float, float]:
+    """Rows of a table, and Catalyst's bytes a row."""
+    df = table(spark, d, name)
+    rows = float(df.count())
+    return rows, planner.table_bytes(df) / max(1.0, rows)
+
+
 def _advice(spark, d, spec, method: str) -> tuple[str, list[str] | None, float | None]:
     """(hint, order of tables, estimated rows of the first filter) of a join."""
     if method == "catalyst_default":
@@ -939,9 +947,7 @@ def _advice(spark, d, spec, method: str) -> tuple[str, list[str] | None, float |
     named, conditions = workloads.join_parts(spec)
     sides, first = {}, None
     for alias, t in named.items():
-        df = table(spark, d, t)
-        rows = float(df.count())
-        width = planner.table_bytes(df) / max(1.0, rows)
+        rows, width = _table_size(spark, d, t)
         for ft, c, p in spec[2]:
             if ft == alias and (key := patterns.parse_like_py(p))[0] != "O":
                 est = min(rows, _column_estimates(spark, d, (t, c), method)[key])

@@ -44,3 +44,12 @@ def test_frontier_by_parent_is_the_full_definition(spark):
 def test_empty_set(spark):
     assert catalog.enumerate_keys(strings(spark, ["", None]), "C", 3).count() == 0
     assert catalog.enumerate_keys(strings(spark, []), "P", 3).count() == 0
+
+
+def test_long_records_are_cut_into_pieces(spark, monkeypatch):
+    rng = random.Random(6)
+    records = ["".join(rng.choice("abc") for _ in range(n)) for n in (3, 7, 8, 9, 40, 41, 63)] * 2
+    monkeypatch.setattr(catalog, "PIECE", 8)
+    for first in (True, False):
+        got = {r.key: r.n for r in catalog.enumerate_keys(strings(spark, records), "C", 4, first).collect()}
+        assert got == dict(brute_keys(records, "C", 4))
