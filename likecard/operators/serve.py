@@ -5,7 +5,9 @@ from __future__ import annotations
 from array import array
 from dataclasses import dataclass, field
 
-from ..functions.hashing import COVER, fast_base, portable_py
+from xxhash import xxh64_intdigest
+
+from ..functions.hashing import COVER, portable_py
 from ..functions.patterns import parse_like_py
 from .classify import KindModel
 from .estimator import Estimator
@@ -26,9 +28,7 @@ class Probe:
         """The first tier up to `most` that accepts a key, else 1."""
         if (found := self.high.get(key)) is not None:
             return found
-        from xxhash import xxh64_intdigest
-
-        base = fast_base(key)
+        base = xxh64_intdigest(key.encode("utf-8", "surrogatepass"), 42)  # what all fast hashes of a key begin with
         for t, blooms, residual, odd in self.tiers:
             if t > most:
                 break
