@@ -74,7 +74,7 @@ def refreshed(model: KindModel, tiered: DataFrame, crossed: DataFrame, plans) ->
     top = tiered.agg(F.max("tier")).first()[0]
     family = next((b.family for f in model.filters.values() for b in f.blooms), "fast")
     while stale := stale_filters(model, crossed):
-        fresh = layers.build(tiered, model.kind, plans, top, family, only=stale)
+        fresh = layers.build(tiered, model.kind, plans, top, family, only=stale, long_lists=True)
         kept = {t: f for t, f in model.filters.items() if t not in stale}
         model = replace(model, filters=dict(sorted({**kept, **fresh}.items())))
     return model

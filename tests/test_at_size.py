@@ -1,8 +1,14 @@
 """What only larger sets show: whole workloads, filters over the driver's limits."""
 
+import numpy as np
+import pytest
+from helpers import rows
 from pyspark.sql import functions as F
 
+from likecard.functions import hashing
+from likecard.operators import bloom, classify, layers
 from likecard.operators.baselines import suffix_tree
+from likecard.operators.layers import TierPlan
 from likecard.plans import workloads
 
 
@@ -15,3 +21,24 @@ def test_split_keeps_every_key_without_caps(spark):
 def test_suffix_tree_multiplies_first():
     t = suffix_tree.SuffixTree(22, {"ab": 15})
     assert 22 * (15 / 22) != 15 and t.estimate_py("ab") == 15.0
+
+
+def test_large_filters_answer_as_small_ones(spark, monkeypatch):
+    """Filters too large for a plan, whose last layers are too long to list,
+    answer as those that are expressions, and one by one."""
+    keys = spark.createDataFrame([(1 + (i % 7 == 0) + (i % 21 == 0), f"k{i}") for i in range(300)], "tier int, key string")
+    asked = keys.select("key").unionByName(spark.createDataFrame([(f"x{i}",) for i in range(200)], "key string")).coalesce(1)
+    build = lambda: classify.KindModel("P", layers.build(keys, "P", TierPlan.uniform(2, 0.3), 3, "fast", long_lists=True))
+    want = rows(classify.direct(asked, build()), "key", "tier")
+    monkeypatch.setattr(layers, "MAX_LISTED", 0)
+    monkeypatch.setattr(bloom, "MAX_INLINE", 0)
+    got = build()
+    assert all(f.table is not None for f in got.filters.values()) and not got.inline
+    assert rows(classify.direct(asked, got), "key", "tier") == want == sorted((k, got.tier(k)) for k, _ in want)
+
+
+def test_hashes_of_many_keys():
+    keys = ["", "a", "é漢😀", "x" * 50]
+    for salt in ("P|2|1|", "C|12|10|", "a seed of some length|S|3|2|"):
+        at, step = hashing.fast_all(salt, np.array([hashing.fast_base(k) for k in keys], np.uint64))
+        assert list(zip(at.tolist(), step.tolist())) == [hashing.fast_py(salt, k) for k in keys]
