@@ -1,10 +1,10 @@
 """What only larger sets show: whole workloads, filters over the driver's limits."""
 
 import numpy as np
-import pytest
 from helpers import rows
 from pyspark.sql import functions as F
 
+import __spark_entry__ as entry
 from likecard.functions import hashing
 from likecard.operators import bloom, classify, layers
 from likecard.operators.baselines import suffix_tree
@@ -42,3 +42,9 @@ def test_hashes_of_many_keys():
     for salt in ("P|2|1|", "C|12|10|", "a seed of some length|S|3|2|"):
         at, step = hashing.fast_all(salt, np.array([hashing.fast_base(k) for k in keys], np.uint64))
         assert list(zip(at.tolist(), step.tolist())) == [hashing.fast_py(salt, k) for k in keys]
+
+
+def test_tier_edges_follow_a_table(spark, sf):
+    got = entry.queries()["tier_edges_15"](spark, sf).collect()
+    n = spark.read.parquet(f"{sf}/events.parquet").filter("props != ''").count()
+    assert sum(r.n_keys for r in got) > 0 and max(got, key=lambda r: r.tier).lo <= n <= max(r.hi for r in got)
