@@ -67,14 +67,22 @@ def grams(hashes: Column, buckets: int = BUCKETS) -> Column:
     return F.concat(one, let(hashes, pairs))
 
 
+def marked(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(_t, _text) of every row of docs, null as the empty text; _t is 1 where the
+    document is trusted, else null. Sorted and merged whatever the number of ids,
+    so what is shuffled is the texts, once, at every size, and no process holds all ids."""
+    ids = trusted.select(F.col("doc_id").cast("long").alias("_id"), F.lit(1).alias("_t")).distinct()
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    rows = docs.select(F.col(id_col).cast("long").alias("_id"), text.alias("_text"))
+    return rows.join(ids.hint("merge"), "_id", "left").select("_t", "_text")
+
+
 def ratios(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text", buckets: int = BUCKETS, smooth: float = SMOOTH) -> DataFrame:
     """(bucket, ratio): log of the share of each bucket among the n-grams of the
     trusted documents over its share among those of all documents, smoothed.
     trusted: (doc_id), any number. One pass over docs; a bucket is a row a task
-    before the shuffle. Spark broadcasts the ids only where they are few."""
-    ids = trusted.select(F.col("doc_id").cast("long").alias("_id"), F.lit(1).alias("_t")).distinct()
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = docs.select(F.col(id_col).cast("long").alias("_id"), text.alias("_text")).join(ids, "_id", "left")
+    before the shuffle."""
+    rows = marked(docs, trusted, id_col, text_col)
     rows = rows.select("_t", F.explode(grams(F.transform(words(F.col("_text")), lambda w: F.xxhash64(w)), buckets)).alias("bucket"))
     counts = rows.groupBy("bucket").agg(F.count("*").alias("r"), F.count("_t").alias("t")).collect()
     every, chosen = sum(c.r for c in counts) + smooth * buckets, sum(c.t for c in counts) + smooth * buckets

@@ -150,6 +150,15 @@ def test_ratio_rejects_what_the_trusted_lack(spark, docs, corpus):
     assert sum(good) / len(good) > 0.97 and sum(junk) / len(junk) < 0.1
 
 
+def test_trusted_ids_are_merged_at_every_size(spark, docs):
+    """Few ids are joined as many are, so disk grows with the input and no faster."""
+    trusted = quality_rules.trusted_documents(labelled(spark, [(1, 1, 0), (2, 0, 0), (3, 1, 0)]))
+    out = quality_rules.marked(docs([(1, "a"), (2, "b"), (3, None), (None, "c"), (1, "d")]), trusted)
+    assert sorted((r["_t"] or 0, r["_text"]) for r in out.collect()) == [(0, "b"), (0, "c"), (1, ""), (1, "a"), (1, "d")]
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
 def test_every_good_document_is_trusted(spark, docs):
     labels = spark.range(21_000).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality"), F.lit(0).alias("toxic"))
     trusted = quality_rules.trusted_documents(labels)
