@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from likecard.functions import hashing
 from likecard.operators import bloom, classify, layers
-from likecard.operators.baselines import suffix_tree
+from likecard.operators.baselines import learned, suffix_tree
+from likecard.operators.estimator import EstimatorConfig, fit_catalog
 from likecard.operators.layers import TierPlan
 from likecard.plans import workloads
 
@@ -48,3 +49,32 @@ def test_tier_edges_follow_a_table(spark, sf):
     got = entry.queries()["tier_edges_15"](spark, sf).collect()
     n = spark.read.parquet(f"{sf}/events.parquet").filter("props != ''").count()
     assert sum(r.n_keys for r in got) > 0 and max(got, key=lambda r: r.tier).lo <= n <= max(r.hi for r in got)
+
+
+def test_alphabets_are_one_constant(spark):
+    """A large alphabet, or many character pairs, are no literals of a plan."""
+    chars = [chr(0x4E00 + i) for i in range(6000)]
+    keys = spark.createDataFrame([(f"k{i}",) for i in range(300)], "key string")
+    df = workloads.empty_patterns(keys, chars)
+    plan = df._jdf.queryExecution().logical().treeString()
+    assert plan.count(chars[77]) <= 6 and plan.count("\n") < 200
+    got = {r.key for r in df.collect()}
+    test = [k for k, in keys.filter(workloads.digest("split|", F.col("key")) % 3 == 0).collect()]
+    assert len(got) == len(test) and all(k[: len(k.rstrip("".join(chars)))] in test and set(k[2:]) - set("0123456789") <= set(chars) for k in got)
+
+
+def test_looked_up_in_order(spark):
+    table = spark.createDataFrame([("ab", 1.0), ("bc", 2.0), ("漢", 5.0)], "part string, value double")
+    df = spark.createDataFrame([("abcx",), ("漢",), ("abcx",)], "lit string")
+    got = learned.looked_up(df, learned._pairs("lit"), table, "v").collect()
+    assert sorted((r.lit, r.v) for r in got) == [("abcx", [1.0, 2.0, -10.0])] * 2 + [("漢", [5.0])]
+
+
+def test_tree_and_long_lists_stay_tables(spark):
+    """The driver holds the packed tree and the words, no dict of keys."""
+    keys = spark.createDataFrame([(f"k{i}", len(f"k{i}"), 1 + i % 40) for i in range(9000)], "key string, len int, n long")
+    _, m, _ = fit_catalog(keys, "P", EstimatorConfig(plan=TierPlan.uniform(2, 0.5), frontier=False))
+    assert all(f.table is not None and not f.residual for f in m.filters.values() if f.survivors[-1] > layers.MAX_INLINE)
+    assert any(f.table is not None for f in m.filters.values()) and "tree_keys" not in vars(m)
+    want = {r.key: m.tier(r.key) for r in keys.limit(300).collect()}
+    assert {r.key: r.tier for r in classify.direct(keys.limit(300).select("key"), m).collect()} == want
