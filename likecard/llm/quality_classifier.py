@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .hashed import Codes, token_and_form_grams
-from .toxicity import collect_sample, training_rows
+from .toxicity import features, in_order, training_rows
 
 #: Labelled rows that the counts and the support vectors learn from at most.
 MAX_COUNTED, MAX_TRAIN = 20_000, 6000
@@ -96,21 +96,40 @@ def calibrate(margins, y):
     return float(b[0]), float(b[1])
 
 
+def learnt(rows: list, ratios):
+    """(weights, slope, offset) of rows [(buckets, counts, y)] in their order."""
+    import numpy as np
+
+    apart = len(rows) >= 50
+    fifth = rows[::5] if apart else rows
+    w = fit_hinge([r for i, r in enumerate(rows) if i % 5] if apart else rows, ratios)
+    margins = np.array([w[np.append(x, len(ratios))] @ _scaled(x, ratios) for x, _, _ in fifth])
+    return (w, *calibrate(margins, np.array([y for _, _, y in fifth], float)))
+
+
 def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", most: int = MAX_TRAIN, bits: int = BITS):
     """(ratios, weights, slope, offset). The counts see MAX_COUNTED labelled rows
     at most, the support vector machine MAX_TRAIN of them, a fifth of which only
-    sets the logistic curve. Without any label every
-    score is 0.5."""
+    sets the logistic curve. One task holds those rows and learns; the driver gets
+    the weights. Without any label every score is 0.5."""
     import numpy as np
 
     ratios = log_count_ratios(docs, labels, label_col, bits)
-    rows = collect_sample(docs, labels, label_col, most, _grams(bits))
-    fifth = rows[::5] if len(rows) >= 50 else rows
-    w = fit_hinge([r for i, r in enumerate(rows) if i % 5] if len(rows) >= 50 else rows, ratios)
-    if not rows:
-        return ratios, w, 1.0, 0.0
-    margins = np.array([w[np.append(x, len(ratios))] @ _scaled(x, ratios) for x, _, _ in fifth])
-    return (ratios, w, *calibrate(margins, np.array([y for _, _, y in fifth], float)))
+    shared = docs.sparkSession.sparkContext.broadcast(ratios)
+
+    def run(batches):
+        import pyarrow as pa
+
+        rows = in_order((x, y) for batch in batches for x, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+        if rows:
+            w, slope, offset = learnt(rows, shared.value)
+            yield pa.RecordBatch.from_arrays([pa.array([w.tobytes()], pa.binary()), pa.array([slope]), pa.array([offset])], names=["w", "slope", "offset"])
+
+    rows = features(training_rows(docs, labels, label_col, most), _grams(bits), "x binary, y int")
+    got = rows.repartition(1).mapInArrow(run, "w binary, slope double, offset double").first()
+    if got is None:
+        return ratios, np.zeros(len(ratios) + 1), 1.0, 0.0
+    return ratios, np.frombuffer(got.w), got.slope, got.offset
 
 
 def _scores(model, texts, codes, make):

@@ -70,17 +70,20 @@ def training_rows(docs: DataFrame, labels: DataFrame, label_col: str, most: int)
     return rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("text", "y")
 
 
-def collect_sample(docs: DataFrame, labels: DataFrame, label_col: str, most: int, make) -> list:
-    """[(buckets, counts, y)] of the bounded sample, in an order set by hashes alone."""
+def in_order(rows) -> list:
+    """[(buckets, counts, y)] of rows (x, y) of `features`, in an order set by hashes alone."""
     import numpy as np
-
-    got = features(training_rows(docs, labels, label_col, most), make, "x binary, y int").toLocalIterator()
-    rows = [(*np.frombuffer(r.x, np.int32).reshape(2, -1), r.y) for r in got]
     import xxhash
 
+    rows = [(*np.frombuffer(x, np.int32).reshape(2, -1), y) for x, y in rows]
     return sorted(rows, key=lambda r: (xxhash.xxh64_intdigest(r[0].tobytes() + r[1].tobytes()), r[2]))
 
 
+def collect_sample(docs: DataFrame, labels: DataFrame, label_col: str, most: int, make) -> list:
+    """[(buckets, counts, y)] of the bounded sample, in an order set by hashes alone."""
+    return in_order((r.x, r.y) for r in features(training_rows(docs, labels, label_col, most), make, "x binary, y int").toLocalIterator())
+
+
 def train(rows: list, bits: int = BITS, epochs: int = EPOCHS, alpha: float = ALPHA, beta: float = BETA, l1: float = L1, l2: float = L2):
     """(indices, weights, bias) of the nonzero coordinates after FTRL-proximal
     passes over [(buckets, counts, y)]: each coordinate has its own learning rate from

@@ -1,6 +1,7 @@
 import base64
 import hashlib
 import json
+import os
 import random
 import re
 import zlib
@@ -63,6 +64,19 @@ def test_held_out_labels_are_never_read(spark, docs, corpus):
         assert all((x == y).all() if hasattr(x, "all") else x == y for x, y in zip(a, b))
 
 
+def test_support_vectors_are_learnt_in_a_task(spark, docs, corpus, monkeypatch):
+    """The driver's process holds weights, no training rows."""
+
+    def elsewhere(*args, f=quality_classifier.fit_hinge, driver=os.getpid()):
+        assert os.getpid() != driver
+        return f(*args)
+
+    rows, marks = corpus
+    monkeypatch.setattr(quality_classifier, "fit_hinge", elsewhere)
+    ratios, w, slope, _ = quality_classifier.fit(docs(rows), labelled(spark, marks))
+    assert len(w) == len(ratios) + 1 and w.any() and slope > 0
+
+
 def test_scores_of_hard_rows(spark, docs, corpus):
     rows, marks = corpus
     df, lab = docs(rows), labelled(spark, [*marks, (None, 1, 1), (3, None, None), (999, 1, 0)])
