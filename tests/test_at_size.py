@@ -1,14 +1,14 @@
 """What only larger sets show: whole workloads, filters over the driver's limits."""
 
 import numpy as np
-from helpers import rows
+from helpers import brute_keys, rows, strings
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from likecard.functions import hashing
-from likecard.operators import bloom, classify, layers
+from likecard.operators import bloom, catalog, classify, layers
 from likecard.operators.baselines import learned, suffix_tree
-from likecard.operators.estimator import EstimatorConfig, fit_catalog
+from likecard.operators.estimator import EstimatorConfig, fit, fit_catalog
 from likecard.operators.layers import TierPlan
 from likecard.plans import workloads
 
@@ -78,3 +78,40 @@ def test_tree_and_long_lists_stay_tables(spark):
     assert any(f.table is not None for f in m.filters.values()) and "tree_keys" not in vars(m)
     want = {r.key: m.tier(r.key) for r in keys.limit(300).collect()}
     assert {r.key: r.tier for r in classify.direct(keys.limit(300).select("key"), m).collect()} == want
+
+
+def test_last_layers_of_few_keys_need_no_jobs(spark, monkeypatch):
+    """Layers that are built on the driver equal those built by jobs."""
+    keys = spark.createDataFrame([(1 + (i % 7 == 0) + (i % 21 == 0), f"k{i}") for i in range(400)], "tier int, key string")
+    for family in ("fast", "portable"):
+        build = lambda: layers.build(keys, "P", TierPlan.uniform(6, 0.4), 3, family, long_lists=True)  # noqa: B023, E731
+        with monkeypatch.context() as m:
+            m.setattr(layers, "MAX_LISTED", -1)
+            want = build()
+        calls = []
+        with monkeypatch.context() as m:
+            m.setattr(bloom, "gather", lambda *a, f=bloom.gather: calls.append(1) or f(*a))
+            got = build()
+        same = lambda x: {t: (f.layers, f.blooms, f.survivors, f.keys) for t, f in x.items()}
+        assert same(got) == same(want) and max(f.layers for f in got.values()) > 3 and len(calls) == 1
+
+
+def test_suffix_tree_stays_a_table(spark):
+    """No process holds the kept parts; estimates are those of a dict of all."""
+    records = ["".join("abcd"[(i * j + i // 3) % 4] for j in range(1, 3 + i % 6)) for i in range(150)] + ["漢字😀"]
+    full = brute_keys(records, "C", 6)
+    for parse in ("overlap", "independent"):
+        t = suffix_tree.fit(catalog.enumerate_keys(strings(spark, records), "C", 6), len(records), 0.3, parse)
+        kept = dict(sorted(full.items(), key=lambda x: (-x[1], len(x[0]), x[0]))[: -(-len(full) * 3 // 10)])
+        want = suffix_tree.SuffixTree(len(records), kept, 1.0, parse)
+        asked = [*full, "zz", "", "dcbadcba" * 2, "abczabc"]
+        got = {r.lit: r.est for r in t.estimate(spark.createDataFrame([(x,) for x in asked], "lit string")).collect()}
+        assert not t.counts and t.bytes == want.bytes and got == {x: want.estimate_py(x) for x in asked}
+
+
+def test_each_kind_has_its_own_plan(spark):
+    e = fit(strings(spark, ["abc", "abd", "xbc"] * 4), EstimatorConfig(max_len=3))
+    df = spark.createDataFrame([(i, k, "ab") for i, k in enumerate("PSC")], "pid long, kind string, lit string")
+    out = e.estimate(df)
+    assert out._jdf.queryExecution().optimizedPlan().treeString().count("\n") < 30
+    assert {r.pid for r in out.collect() if r.est >= 1} == {0, 1, 2}
