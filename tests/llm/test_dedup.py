@@ -245,6 +245,34 @@ def test_agreement_of_signatures(spark):
     assert line_dedup.least_agreement(1, 0.8) == 0 and line_dedup.least_agreement(36, 0.8) == 21
 
 
+def test_minima_of_signatures(spark):
+    """Minima against a search of all hashes of a line, without a row per window;
+    a long line, repeated windows and lines shorter than a window among them."""
+    rng = random.Random(16)
+    text = [sentence(rng, n) for n in (1, 2, 5, 12, 40, 900)] + ["x", "ab", "a" * 50, "漢字" * 9 + "😀", "\x00 odd"]
+    rows = spark.createDataFrame([(i, t, i) for i, t in enumerate(text)] + [(3, text[3], 1)], "h long, line string, id long")
+    sig = line_dedup.signatures(rows)
+    assert "Generate" not in sig._jdf.queryExecution().executedPlan().toString()
+    sets = {r.h: r.s for r in rows.select("h", line_dedup.shingle_set(F.col("line")).alias("s")).collect()}
+    got = {r.h: r for r in sig.collect()}
+    assert len(got) == len(text) and (got[3].n, got[3].id) == (2, 1) and (got[4].n, got[4].id) == (1, 4)
+    for h, r in got.items():
+        for i in range(36):
+            mark = (i << 32) // 36 - (1 << 31)
+            least = min(sets[h], key=lambda x: (x - mark) % 2**32)
+            assert r.sig[i // 7] >> 8 * (i % 7) & 255 == least & 255
+
+
+def test_likeness_at_its_threshold(spark):
+    """Sets that share exactly four fifths are alike, and one element less is not;
+    the common part is computed once."""
+    rows = [(n, list(range(9 * n)), list(range(n, 10 * n))) for n in range(1, 60)]
+    df = spark.createDataFrame(rows, "n int, a array<int>, b array<int>")
+    out = df.select("n", line_dedup.alike(F.col("a"), F.col("b"), 0.8).alias("at"), line_dedup.alike(F.slice("a", F.lit(1), F.size("a") - 1), F.col("b"), 0.8).alias("below"), line_dedup.alike(F.slice("a", 1, 1), F.col("b"), 0.8).alias("small"))
+    assert {(r.n, r.at, r.below, r.small) for r in out.collect()} == {(n, True, False, False) for n in range(1, 60)}
+    assert str(line_dedup.alike(F.col("a"), F.col("b"), 0.8)._jc).count("array_intersect") == 1
+
+
 @pytest.mark.parametrize("k", [5, 12])
 def test_lines_of_the_documents(spark, k):
     """All different lines of the given documents against brute force over all
