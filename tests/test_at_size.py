@@ -5,6 +5,7 @@ from helpers import brute_keys, rows, strings
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
+from likecard import queries
 from likecard.functions import hashing
 from likecard.operators import bloom, catalog, classify, layers
 from likecard.operators.baselines import learned, suffix_tree
@@ -45,6 +46,13 @@ def test_hashes_of_many_keys():
         assert list(zip(at.tolist(), step.tolist())) == [hashing.fast_py(salt, k) for k in keys]
 
 
+def test_portable_hashes_of_many_keys():
+    keys = ["", "a", "é漢😀", "x" * 50, *map(str, range(500))]
+    for salt in ("P|2|1|", "a seed of some length that is over 32 bytes|S|3|2|"):
+        at, step = hashing.portable_all(salt, np.array(keys, object))
+        assert list(zip(at.tolist(), step.tolist())) == [hashing.portable_py(salt, k) for k in keys]
+
+
 def test_tier_edges_follow_a_table(spark, sf):
     got = entry.queries()["tier_edges_15"](spark, sf).collect()
     n = spark.read.parquet(f"{sf}/events.parquet").filter("props != ''").count()
@@ -115,3 +123,18 @@ def test_each_kind_has_its_own_plan(spark):
     out = e.estimate(df)
     assert out._jdf.queryExecution().optimizedPlan().treeString().count("\n") < 30
     assert {r.pid for r in out.collect() if r.est >= 1} == {0, 1, 2}
+
+
+def test_empty_rates_are_no_plan_of_all(spark, sf, monkeypatch):
+    """Each strategy runs on its own, prefixes are classified once for both walks,
+    and the rates are those of the strategies one by one."""
+    asked = []
+    monkeypatch.setattr(classify, "direct", lambda p, m, f=classify.direct: asked.append(m.kind) or f(p, m))
+    df = entry.queries()["empty_rates"](spark, sf)
+    assert sorted(asked) == sorted("PSC" * 2)
+    assert df._jdf.queryExecution().optimizedPlan().treeString().count("\n") < 5
+    got = {(r.kind, r.strategy): (r.n, r.tier_one) for r in df.collect()}
+    assert len(got) == 9
+    for strategy, walk in (("direct", False), ("walk_monotone", True)):
+        r = queries._tier_one_rate(spark, sf, "P", walk).first()
+        assert got["P", strategy] == (r.n, round(r.tier_one / r.n, 6))
