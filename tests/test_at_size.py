@@ -138,3 +138,10 @@ def test_empty_rates_are_no_plan_of_all(spark, sf, monkeypatch):
     for strategy, walk in (("direct", False), ("walk_monotone", True)):
         r = queries._tier_one_rate(spark, sf, "P", walk).first()
         assert got["P", strategy] == (r.n, round(r.tier_one / r.n, 6))
+
+
+def test_rates_are_found_once_a_session(spark, sf, monkeypatch):
+    entry.queries()["empty_rates"](spark, sf)
+    asked = []
+    monkeypatch.setattr(classify, "direct", lambda p, m, f=classify.direct: asked.append(m.kind) or f(p, m))
+    assert all(r.holds for r in entry.queries()["walk_ge_direct"](spark, sf).collect()) and not asked
