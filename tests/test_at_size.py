@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from likecard import queries
-from likecard.functions import hashing
+from likecard.functions import hashing, tiers
 from likecard.operators import bloom, catalog, classify, layers
 from likecard.operators.baselines import learned, suffix_tree
 from likecard.operators.estimator import EstimatorConfig, fit, fit_catalog
@@ -145,3 +145,21 @@ def test_rates_are_found_once_a_session(spark, sf, monkeypatch):
     asked = []
     monkeypatch.setattr(classify, "direct", lambda p, m, f=classify.direct: asked.append(m.kind) or f(p, m))
     assert all(r.holds for r in entry.queries()["walk_ge_direct"](spark, sf).collect()) and not asked
+
+
+def test_bound_is_checked_for_every_kind(spark, monkeypatch):
+    """A kind whose literals are estimated beyond the bound is seen."""
+    k = spark.createDataFrame([("a", 1, 40), ("ab", 2, 40), ("b", 1, 1)], "key string, len int, n long").coalesce(1)
+    for bad in "PSC":
+        made = {}
+
+        def model(spark, d, kind, config, bad=bad, made=made):
+            scheme = tiers.build(config.bound, 40)
+            found = layers.build(catalog.with_tiers(k, scheme), kind, TierPlan.uniform(2, 0.05), scheme.n) if kind != bad else {}
+            return made.setdefault((kind, config.bound), (scheme, classify.KindModel(kind, found), None))
+
+        monkeypatch.setattr(queries, "keys", lambda *a: k)
+        monkeypatch.setattr(queries, "model", model)
+        monkeypatch.setattr(queries, "BOUNDS", ("1.5",))
+        assert [tuple(r) for r in queries.bound_holds(spark, "").collect()] == [("1.5", False)]
+        assert {kind for kind, _ in made} == set("PSC")
