@@ -1,5 +1,7 @@
 """What only larger sets show: whole workloads, filters over the driver's limits."""
 
+import threading
+
 import numpy as np
 from helpers import brute_keys, rows, strings
 from pyspark.sql import functions as F
@@ -11,7 +13,7 @@ from likecard.operators import bloom, catalog, classify, layers
 from likecard.operators.baselines import learned, suffix_tree
 from likecard.operators.estimator import EstimatorConfig, fit, fit_catalog
 from likecard.operators.layers import TierPlan
-from likecard.plans import workloads
+from likecard.plans import study, workloads
 
 
 def test_split_keeps_every_key_without_caps(spark):
@@ -163,3 +165,20 @@ def test_bound_is_checked_for_every_kind(spark, monkeypatch):
         monkeypatch.setattr(queries, "BOUNDS", ("1.5",))
         assert [tuple(r) for r in queries.bound_holds(spark, "").collect()] == [("1.5", False)]
         assert {kind for kind, _ in made} == set("PSC")
+
+
+def test_methods_without_times_run_side_by_side(spark, monkeypatch):
+    """Two methods meet, which one after the other they never would; all are asked."""
+    met = threading.Barrier(2, timeout=60)
+    asked = spark.createDataFrame([(1, "P", "a", 3, "test"), (2, "P", "b", 0, "empty"), (3, "P", "c", 2, "train")], "pid long, kind string, lit string, true_n long, split string")
+
+    def rival(name):
+        met.wait()
+        return study.Rival(name, ("P",), lambda p: p.withColumn("est", F.lit(6.0)), 0.0, 0)
+
+    monkeypatch.setattr(queries, "keys", lambda *a: None)
+    monkeypatch.setattr(queries, "_study_patterns", lambda *a: asked)
+    monkeypatch.setattr(queries, "_trained_makers", lambda *a: [lambda: rival("learnt")])
+    monkeypatch.setattr(queries, "_classical_makers", lambda *a: [lambda: rival("plain")])
+    got = sorted(tuple(r) for r in queries.accuracy_by_length(spark, "no such folder").collect())
+    assert got == [("learnt", "P", 1, 1, 2.0), ("plain", "P", 1, 1, 2.0)]
